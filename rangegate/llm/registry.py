@@ -1,8 +1,9 @@
 """Queries and DuckDB texts of the training-data operators."""
 
-from rangegate.llm import exact_dedup, substring_dedup
+from rangegate.llm import exact_dedup, packing, substring_dedup
 
 QUERIES = {
+    "op2_harmonic_packing": packing.op2_harmonic_packing,
     "op8_cuckoo_exact_dedup": exact_dedup.op8_cuckoo_exact_dedup,
     "op9_repeated_passages": substring_dedup.op9_repeated_passages,
 }
