@@ -1,9 +1,10 @@
 """Queries and DuckDB texts of the training-data operators."""
 
-from rangegate.llm import exact_dedup, packing, substring_dedup
+from rangegate.llm import exact_dedup, near_dedup, packing, substring_dedup
 
 QUERIES = {
     "op2_harmonic_packing": packing.op2_harmonic_packing,
+    "op5_near_duplicates": near_dedup.op5_near_duplicates,
     "op8_cuckoo_exact_dedup": exact_dedup.op8_cuckoo_exact_dedup,
     "op9_repeated_passages": substring_dedup.op9_repeated_passages,
 }
