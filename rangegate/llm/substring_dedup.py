@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from rangegate.llm.text import Rolling, WordHashes, blocks_for, columns, documents, signed, sliding_min, text_bytes, with_block
+from rangegate.llm.text import Rolling, WordHashes, blocks_for, columns, documents, in_sorted, signed, sliding_min, text_bytes, with_block
 
 WINDOW_WORDS = 35
 GRAM_WORDS = 8
@@ -59,7 +59,7 @@ def _anchor_counts(docs: DataFrame, width: int, gram: int) -> DataFrame:
                 _, anchors, grams = windows.of((text or b"").split())
                 if len(anchors):
                     distinct = np.unique(anchors)
-                    found.setdefault(blk, []).append(grams[np.isin(grams, distinct)])
+                    found.setdefault(blk, []).append(grams[in_sorted(grams, distinct)])
             for blk, values in found.items():
                 anchors, n = _counted(values)
                 yield pa.RecordBatch.from_arrays([pa.array(np.full(len(n), blk, np.int32)), pa.array(signed(anchors)), pa.array(n.astype(np.int32))], ["blk", "anchor", "n"])
@@ -81,7 +81,7 @@ def _window_counts(docs: DataFrame, anchors: DataFrame, width: int, gram: int) -
         hashes, places = [], []
         for text in left.column("text").to_pylist() if len(wanted) else []:
             h, a, _ = windows.of((text or b"").split())
-            hit = np.isin(a, wanted)
+            hit = in_sorted(a, wanted)
             hashes.append(h[hit])
             places.append(a[hit])
         hashes, first, n = np.unique(np.concatenate(hashes or [wanted[:0]]), return_index=True, return_counts=True)
@@ -111,7 +111,7 @@ def repeated_passages(docs: DataFrame, width: int = WINDOW_WORDS, gram: int = GR
         n_words, kept, starts, ends = [], [], [], []
         for text in left.column("text").to_pylist():
             words = (text or b"").split()
-            gone = covered_words(np.isin(windows.of(words)[0], bad), len(words), width) if len(bad) and len(words) >= width else np.zeros(len(words), bool)
+            gone = covered_words(in_sorted(windows.of(words)[0], bad), len(words), width) if len(bad) and len(words) >= width else np.zeros(len(words), bool)
             step = np.diff(np.r_[False, gone, False].astype(np.int8))
             starts.append(np.flatnonzero(step == 1).tolist())
             ends.append(np.flatnonzero(step == -1).tolist())

@@ -79,6 +79,14 @@ def sliding_min(values: np.ndarray, width: int) -> np.ndarray:
     return out if have == width else np.minimum(out[: len(out) - (width - have)], out[width - have :])
 
 
+def in_sorted(values: np.ndarray, ascending: np.ndarray) -> np.ndarray:
+    """Which values are in an ascending array; costs its logarithm a value, not its length a call."""
+    if not len(ascending):
+        return np.zeros(len(values), bool)
+    at = np.searchsorted(ascending, values)
+    return ascending[np.minimum(at, len(ascending) - 1)] == values
+
+
 def signed(x: np.ndarray) -> np.ndarray:
     return x.view(np.int64)
 
