@@ -1,10 +1,11 @@
 """Queries and DuckDB texts of the training-data operators."""
 
-from rangegate.llm import exact_dedup, line_rules, near_dedup, packing, substring_dedup
+from rangegate.llm import exact_dedup, line_rules, near_dedup, packing, quality, substring_dedup
 
 QUERIES = {
     "op1_line_rules": line_rules.op1_line_rules,
     "op2_harmonic_packing": packing.op2_harmonic_packing,
+    "op3_ordinal_quality": quality.op3_ordinal_quality,
     "op5_near_duplicates": near_dedup.op5_near_duplicates,
     "op8_cuckoo_exact_dedup": exact_dedup.op8_cuckoo_exact_dedup,
     "op9_repeated_passages": substring_dedup.op9_repeated_passages,
