@@ -1,6 +1,6 @@
 """Queries and DuckDB texts of the training-data operators."""
 
-from rangegate.llm import exact_dedup, line_rules, near_dedup, packing, quality, substring_dedup
+from rangegate.llm import exact_dedup, line_dedup, line_rules, near_dedup, packing, quality, substring_dedup
 
 QUERIES = {
     "op1_line_rules": line_rules.op1_line_rules,
@@ -9,5 +9,6 @@ QUERIES = {
     "op5_near_duplicates": near_dedup.op5_near_duplicates,
     "op8_cuckoo_exact_dedup": exact_dedup.op8_cuckoo_exact_dedup,
     "op9_repeated_passages": substring_dedup.op9_repeated_passages,
+    "op10_line_dedup": line_dedup.op10_line_dedup,
 }
-ORACLES = {"op1_line_rules": line_rules.OP1_SQL, "op8_cuckoo_exact_dedup": exact_dedup.OP8_SQL, "op9_repeated_passages": substring_dedup.OP9_SQL}
+ORACLES = {"op10_line_dedup": line_dedup.OP10_SQL, "op1_line_rules": line_rules.OP1_SQL, "op8_cuckoo_exact_dedup": exact_dedup.OP8_SQL, "op9_repeated_passages": substring_dedup.OP9_SQL}
