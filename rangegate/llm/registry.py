@@ -1,12 +1,13 @@
 """Queries and DuckDB texts of the training-data operators."""
 
-from rangegate.llm import exact_dedup, line_dedup, line_rules, mixing, near_dedup, packing, quality, substring_dedup
+from rangegate.llm import exact_dedup, line_dedup, line_rules, mixing, near_dedup, packing, quality, substring_dedup, token_shards
 
 QUERIES = {
     "op1_line_rules": line_rules.op1_line_rules,
     "op2_harmonic_packing": packing.op2_harmonic_packing,
     "op3_ordinal_quality": quality.op3_ordinal_quality,
     "op5_near_duplicates": near_dedup.op5_near_duplicates,
+    "op6_training_order": token_shards.op6_training_order,
     "op7_raked_mixing": mixing.op7_raked_mixing,
     "op8_cuckoo_exact_dedup": exact_dedup.op8_cuckoo_exact_dedup,
     "op9_repeated_passages": substring_dedup.op9_repeated_passages,
