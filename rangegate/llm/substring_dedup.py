@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from rangegate.llm.text import Rolling, WordHashes, blocks_for, columns, documents, in_sorted, signed, sliding_min, text_bytes, with_block
+from rangegate.llm.text import Rolling, WordHasher, blocks_for, columns, distinct, documents, in_sorted, signed, sliding_min, text_bytes, with_block
 
 WINDOW_WORDS = 35
 GRAM_WORDS = 8
@@ -33,15 +33,17 @@ class Windows:
 
     def __init__(self, width: int, gram: int):
         self.width, self.gram = width, gram
-        self.hashes, self.rolling = WordHashes(), Rolling()
+        self.hasher, self.rolling = WordHasher(fold=False), Rolling()
 
-    def of(self, words: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-        """Per window its hash and its anchor; per q-gram its hash."""
-        x = self.hashes.array(words)
-        grams = self.rolling.windows(x, self.gram)
-        if len(x) < self.width:
-            return np.empty(0, np.uint64), np.empty(0, np.uint64), grams
-        return self.rolling.windows(x, self.width), sliding_min(grams, self.width - self.gram + 1), grams
+    def each(self, texts: list[bytes | None]) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
+        """For each text, per window its hash and its anchor, and per q-gram its hash."""
+        none = np.empty(0, np.uint64)
+        for x in self.hasher.each(texts):
+            if len(x) < self.width:
+                yield none, none, none
+            else:
+                grams = self.rolling.windows(x, self.gram)
+                yield self.rolling.windows(x, self.width), sliding_min(grams, self.width - self.gram + 1), grams
 
 
 def _counted(values: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
@@ -55,11 +57,9 @@ def _anchor_counts(docs: DataFrame, width: int, gram: int) -> DataFrame:
         windows = Windows(width, gram)
         for blocks, texts in columns(batches, "blk", "text"):
             found: dict[int, list[np.ndarray]] = {}
-            for blk, text in zip(blocks, texts, strict=True):
-                _, anchors, grams = windows.of((text or b"").split())
+            for blk, (_, anchors, grams) in zip(blocks, windows.each(texts), strict=True):
                 if len(anchors):
-                    distinct = np.unique(anchors)
-                    found.setdefault(blk, []).append(grams[in_sorted(grams, distinct)])
+                    found.setdefault(blk, []).append(grams[in_sorted(grams, distinct(anchors))])
             for blk, values in found.items():
                 anchors, n = _counted(values)
                 yield pa.RecordBatch.from_arrays([pa.array(np.full(len(n), blk, np.int32)), pa.array(signed(anchors)), pa.array(n.astype(np.int32))], ["blk", "anchor", "n"])
@@ -73,27 +73,31 @@ def _repeated(counts: DataFrame, *keys: str) -> DataFrame:
 
 
 def _window_counts(docs: DataFrame, anchors: DataFrame, width: int, gram: int) -> DataFrame:
-    """blk, h, anchor, n of all windows whose anchor is in the block's list."""
+    """blk, h, anchor, n of all windows whose anchor is in the block's list.
+
+    Takes the same columns as the last step, so that both read one exchange of the texts.
+    """
 
     def run(key, left: pa.Table, right: pa.Table) -> pa.Table:
         windows = Windows(width, gram)
-        wanted = np.unique(right.column("anchor").to_numpy()).view(np.uint64)
+        wanted = distinct(right.column("anchor").to_numpy().view(np.uint64))
         hashes, places = [], []
-        for text in left.column("text").to_pylist() if len(wanted) else []:
-            h, a, _ = windows.of((text or b"").split())
+        for h, a, _ in windows.each(left.column("text").to_pylist()) if len(wanted) else []:
             hit = in_sorted(a, wanted)
             hashes.append(h[hit])
             places.append(a[hit])
         hashes, first, n = np.unique(np.concatenate(hashes or [wanted[:0]]), return_index=True, return_counts=True)
         return pa.table({"blk": pa.array(np.full(len(n), key[0].as_py(), np.int32)), "h": pa.array(signed(hashes)), "anchor": pa.array(signed(np.concatenate(places or [wanted[:0]])[first])), "n": pa.array(n.astype(np.int32))})
 
-    return docs.select("blk", "text").groupBy("blk").cogroup(anchors.select("blk", "anchor").groupBy("blk")).applyInArrow(run, "blk int, h long, anchor long, n int")
+    return docs.groupBy("blk").cogroup(anchors.select("blk", "anchor").groupBy("blk")).applyInArrow(run, "blk int, h long, anchor long, n int")
 
 
 def covered_words(hit: np.ndarray, n_words: int, width: int) -> np.ndarray:
     """Boolean per word: inside one of the windows that start where ``hit`` is set (intervals merge)."""
-    edge = np.zeros(n_words + 1, np.int64)
     at = np.flatnonzero(hit)
+    if not len(at):
+        return np.zeros(n_words, bool)
+    edge = np.zeros(n_words + 1, np.int64)
     np.add.at(edge, at, 1)
     np.add.at(edge, at + width, -1)
     return np.cumsum(edge[:-1]) > 0
@@ -107,11 +111,12 @@ def repeated_passages(docs: DataFrame, width: int = WINDOW_WORDS, gram: int = GR
 
     def run(key, left: pa.Table, right: pa.Table) -> pa.Table:
         windows = Windows(width, gram)
-        bad = np.unique(right.column("h").to_numpy()).view(np.uint64)
+        bad = distinct(right.column("h").to_numpy().view(np.uint64))
         n_words, kept, starts, ends = [], [], [], []
-        for text in left.column("text").to_pylist():
+        texts = left.column("text").to_pylist()
+        for text, (hashes, _, _) in zip(texts, windows.each(texts), strict=True):
             words = (text or b"").split()
-            gone = covered_words(in_sorted(windows.of(words)[0], bad), len(words), width) if len(bad) and len(words) >= width else np.zeros(len(words), bool)
+            gone = covered_words(in_sorted(hashes, bad), len(words), width)
             step = np.diff(np.r_[False, gone, False].astype(np.int8))
             starts.append(np.flatnonzero(step == 1).tolist())
             ends.append(np.flatnonzero(step == -1).tolist())

@@ -10,7 +10,6 @@ import math
 from collections.abc import Iterator
 
 import numpy as np
-import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -20,23 +19,6 @@ BASE = 0x9E3779B97F4A7C15
 BASE_INV = pow(BASE, -1, 1 << 64)
 
 
-class WordHashes(dict):
-    """word -> 64-bit hash, filled on demand and emptied when it holds ``limit`` words."""
-
-    def __init__(self, seed: int = 0, limit: int = 1_000_000):
-        super().__init__()
-        self.seed, self.limit = seed, limit
-
-    def __missing__(self, word: bytes) -> int:
-        if len(self) >= self.limit:
-            self.clear()
-        value = self[word] = xxhash.xxh3_64_intdigest(word, self.seed)
-        return value
-
-    def array(self, words: list[bytes]) -> np.ndarray:
-        return np.array([self[w] for w in words], dtype=U64) if words else np.empty(0, U64)
-
-
 def mix64(x: np.ndarray) -> np.ndarray:
     """Finaliser that spreads all input bits over the output; a bijection of 64-bit integers."""
     x = x ^ (x >> U64(30))
@@ -52,7 +34,7 @@ class Rolling:
     def __init__(self):
         self.up = self.down = np.ones(1, U64)
 
-    def _grow(self, n: int) -> None:
+    def grow(self, n: int) -> None:
         if len(self.up) < n:
             n = 1 << (n - 1).bit_length()
             with np.errstate(over="ignore"):
@@ -64,13 +46,67 @@ class Rolling:
         n = len(values)
         if n < width:
             return np.empty(0, U64)
-        self._grow(n + 1)
+        self.grow(n + 1)
         total = np.zeros(n + 1, U64)
         with np.errstate(over="ignore"):
             np.cumsum(values * self.down[:n], out=total[1:])
             return mix64((total[width:] - total[:-width]) * self.up[: n - width + 1] + U64(width))
 
 
+_BLANK = np.zeros(256, bool)
+_BLANK[[0x20, *range(0x09, 0x0E)]] = True
+SPAN = 1 << 20
+
+
+class WordHasher:
+    """64-bit hashes of the words of many texts at once, from prefix sums over their bytes."""
+
+    def __init__(self, fold: bool):
+        self.fold, self.rolling = fold, Rolling()
+
+    def of(self, texts: list[bytes | None]) -> tuple[np.ndarray, np.ndarray]:
+        """Hashes of all words in order, and where each text's words begin and end (one longer than the texts)."""
+        data = b" ".join([t or b"" for t in texts])
+        data = data.lower() if self.fold else data
+        raw = np.frombuffer(data, np.uint8)
+        edge = np.flatnonzero(np.diff(np.concatenate(([True], _BLANK[raw], [True])).view(np.int8)))
+        starts, ends = edge[::2], edge[1::2]
+        out, at = np.empty(len(starts), U64), 0
+        while at < len(starts):
+            to = max(at + 1, int(np.searchsorted(ends, starts[at] + SPAN, side="right")))
+            low, high = int(starts[at]), int(ends[to - 1])
+            self.rolling.grow(high - low + 1)
+            total = np.zeros(high - low + 1, U64)
+            with np.errstate(over="ignore"):
+                np.cumsum(raw[low:high] * self.rolling.down[: high - low], out=total[1:])
+                s, e = starts[at:to] - low, ends[at:to] - low
+                out[at:to] = mix64((total[e] - total[s]) * self.rolling.up[s] + (e - s).astype(U64))
+            at = to
+        bounds = np.cumsum([0, *(len(t or b"") + 1 for t in texts)])
+        return out, np.searchsorted(starts, bounds)
+
+    def each(self, texts: list[bytes | None]) -> Iterator[np.ndarray]:
+        """Word hashes text by text; texts are taken together up to about SPAN bytes."""
+        at = 0
+        while at < len(texts):
+            to, size = at, 0
+            while to < len(texts) and (to == at or size + len(texts[to] or b"") <= SPAN):
+                size += len(texts[to] or b"")
+                to += 1
+            hashes, bounds = self.of(texts[at:to])
+            for i, j in zip(bounds[:-1].tolist(), bounds[1:].tolist(), strict=True):
+                yield hashes[i:j]
+            at = to
+
+
+def distinct(values: np.ndarray) -> np.ndarray:
+    """Ascending distinct values; sorts, which is faster here than hashing."""
+    if len(values) < 2:
+        return values
+    values = np.sort(values)
+    return values[np.concatenate(([True], values[1:] != values[:-1]))]
+
+
 def sliding_min(values: np.ndarray, width: int) -> np.ndarray:
     """Minimum of every window of ``width`` values by doubling."""
     out, have = values, 1
