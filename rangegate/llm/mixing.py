@@ -5,8 +5,8 @@ probabilities until the expected tokens meet the target of every source, languag
 1. A document is kept when a uniform number from its id lies below its cell's probability, whatever the partitions.
 
 Targets are tokens per category; where none are given, a category's share is its share of the corpus to the power
-``alpha``, of a total of ``fraction`` of all tokens. Topics are those of ``topic_of`` unless the documents come with a
-column named otherwise by the caller.
+``alpha``, of a total of ``fraction`` of all tokens. Topics are those of ``topic_of`` unless another
+function of the text's bytes is given.
 
 Defined results: null categories form the category ''; null texts have no tokens, so their cell decides; a null doc_id
 draws by its text; equal ids draw alike; a category without target weight is left out; an empty table gives an empty
@@ -15,8 +15,11 @@ result; other columns are kept. Up to ``max_cells`` cells the fit runs on the dr
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
 import numpy as np
-from pyspark.sql import Column, DataFrame, SparkSession, Window
+import pandas as pd
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from rangegate.llm.graph import checkpoints
@@ -29,27 +32,35 @@ MAX_CELLS = 100_000
 ROUNDS = 50
 
 
-def topic_of(text: Column) -> Column:
-    """Topic by plain marks of the text (ours): tables, markup or mark-up-like noise, legal, data, else prose by length."""
-    length = F.char_length(text)
-    count = lambda c: length - F.char_length(F.translate(text, c, ""))
-    return (
-        F.when(count("|") * 50 > length, "table")
-        .when(count("#*$%&<>") * 50 > length, "marked")
-        .when(F.contains(F.lower(text), F.lit("licen")), "legal")
-        .when(count("0123456789") * 50 > length, "data")
-        .when(length < 500, "short prose")
-        .when(length < 5000, "prose")
-        .otherwise("long prose")
-    )
-
-
-def with_cells(docs: DataFrame, topic: Column | None = None) -> DataFrame:
-    """``docs`` with n_tokens__ (words) and the three categories, named with two underscores."""
-    text = F.coalesce("text", F.lit(""))
-    n = F.expr("cast(size(split(coalesce(text, ''), '[\\\\x20\\\\x09-\\\\x0D]+', -1)) - if(coalesce(text, '') rlike '^[\\\\x20\\\\x09-\\\\x0D]|^$', 1, 0) - if(coalesce(text, '') rlike '[\\\\x20\\\\x09-\\\\x0D]\\\\z', 1, 0) as bigint)")
-    own = {"n_tokens__": F.greatest(n, F.lit(0)), "topic__": F.coalesce(topic if topic is not None else topic_of(text), F.lit(""))}
-    return docs.withColumns(own | {f"{c}__": F.coalesce(F.col(c).cast("string"), F.lit("")) if c in docs.columns else F.lit("") for c in ("source", "lang")})
+def topic_of(text: bytes) -> str:
+    """Topic by plain marks of the text (ours): tables, mark-up or noise, legal, data, else prose by length."""
+    n = len(text)
+    rest = lambda marks: n - len(text.translate(None, marks))
+    if text.count(b"|") * 50 > n:
+        return "table"
+    if rest(b"#*$%&<>") * 50 > n:
+        return "marked"
+    if b"licen" in text.lower():
+        return "legal"
+    if rest(b"0123456789") * 50 > n:
+        return "data"
+    return "short prose" if n < 500 else "prose" if n < 5000 else "long prose"
+
+
+def measure(topic: Callable[[bytes], str]):
+    @F.pandas_udf("n long, topic string")
+    def measured(text: pd.Series) -> pd.DataFrame:
+        texts = [t or b"" for t in text]
+        return pd.DataFrame({"n": [len(t.split()) for t in texts], "topic": [topic(t) for t in texts]})
+
+    return measured
+
+
+def with_cells(docs: DataFrame, topic: Callable[[bytes], str] = topic_of) -> DataFrame:
+    """``docs`` with n_tokens__ (words), topic__ and the categories, named with two underscores."""
+    marked = docs.withColumn("m__", measure(topic)(F.col("text").cast("binary")))
+    own = {"n_tokens__": F.col("m__.n"), "topic__": F.coalesce("m__.topic", F.lit(""))}
+    return marked.withColumns(own | {f"{c}__": F.coalesce(F.col(c).cast("string"), F.lit("")) if c in docs.columns else F.lit("") for c in ("source", "lang")}).drop("m__")
 
 
 def default_targets(totals: dict[str, float], alpha: float, budget: float) -> dict[str, float]:
