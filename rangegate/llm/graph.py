@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import gc
 import tempfile
 import uuid
 
@@ -27,6 +28,12 @@ def stored(df: DataFrame) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def release(spark: SparkSession) -> None:
+    """Lets Spark delete shuffle files and checkpoints that no live table needs; it notices only when the driver's garbage is collected."""
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()
+
+
 def connected_components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
     """node, component (its smallest node) of all nodes of ``edges(a, b)``; a and b are longs and differ.
 
@@ -51,6 +58,8 @@ def connected_components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
         if after == known:
             break
         known = after
+        del both, least, large, lower, small
+        release(edges.sparkSession)
     else:
         raise RuntimeError(f"no fixed point after {max_rounds} rounds")
     roots = current.select(F.col("b").alias("node")).distinct()

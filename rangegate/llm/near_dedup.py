@@ -12,9 +12,11 @@ All links are found; what is pruned is proven not to be one.
   the k shared ones into the same class, so pairs of frequent shingles of one class are indexed. k follows bands of the
   set size whose bounds grow by 1/t; linked sizes lie in one band or in neighbours, and each document is indexed for its
   own band and the next.
-* Every key links its nodes to its least node; pairs that cannot reach t by size or by the number of shared keys are
-  left out, the others verified on the whole sets. Components follow from these links, and only pairs of one key in
-  different components are looked at again. So a group of copies costs its size, not its square.
+* First the nodes of a key are compared with one of them; pairs that cannot reach t by size or by the number of shared
+  keys are left out, the others verified on the whole sets, and components follow from these links. Then all pairs of
+  one key in different components are compared, so that no link between components is lost. For keys of frequent
+  shingles, parity maps of the sets rule most of these pairs out before they are formed. So a group of copies costs its
+  size, not its square.
 
 Defined results: null texts and texts without words have no shingles and stand alone; a text of fewer than five words is
 one shingle; a repeated doc_id is one more document; rows with a null doc_id take part, and a class of nothing else has
@@ -33,24 +35,25 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from rangegate.llm.graph import checkpoints, connected_components
-from rangegate.llm.text import Rolling, WordHashes, columns, documents, mix64, signed, text_bytes
+from rangegate.llm.graph import checkpoints, connected_components, release, stored
+from rangegate.llm.text import Rolling, WordHasher, columns, distinct, documents, mix64, signed, text_bytes
 
 SHINGLE_WORDS = 5
 PERCENT = 75
-COUNT_SLOTS = 1 << 20
+COUNT_SLOTS = 1 << 22
 CHUNKS = 64
+PARITY_WORDS = 8
 U64 = np.uint64
 
 
 class Shingles:
     def __init__(self, width: int = SHINGLE_WORDS):
-        self.width, self.hashes, self.rolling = width, WordHashes(), Rolling()
+        self.width, self.hasher, self.rolling = width, WordHasher(fold=True), Rolling()
 
-    def of(self, text: bytes | None) -> np.ndarray:
-        """Sorted distinct 64-bit shingle hashes of a text."""
-        x = self.hashes.array((text or b"").lower().split())
-        return np.unique(self.rolling.windows(x, min(self.width, len(x)))) if len(x) else x
+    def each(self, texts: list[bytes | None]) -> Iterator[np.ndarray]:
+        """Sorted distinct 64-bit shingle hashes of each text."""
+        for x in self.hasher.each(texts):
+            yield distinct(self.rolling.windows(x, min(self.width, len(x)))) if len(x) else x
 
 
 def node_of(shingles: np.ndarray) -> int:
@@ -66,23 +69,22 @@ def _features(docs: DataFrame, slots: int) -> DataFrame:
     """Rows of (doc_id, node, n), and for each task rows of (chunk, part, counts) with its share of the shingle counts."""
 
     def run(batches: Iterator) -> Iterator:
-        shingles, seen, counts = Shingles(), set(), np.zeros(slots, np.int64)
+        shingles, seen, counts = Shingles(), set(), np.zeros(slots, np.int32)
         none = pa.nulls
         for ids, texts in columns(batches, "doc_id", "text"):
             nodes, sizes, fresh = [], [], []
-            for text in texts:
-                s = shingles.of(text)
+            for s in shingles.each(texts):
                 nodes.append(node_of(s))
                 sizes.append(len(s))
                 if nodes[-1] not in seen:
                     seen.add(nodes[-1])
                     fresh.append(s)
             if fresh:
-                counts += np.bincount((np.concatenate(fresh) % U64(slots)).astype(np.int64), minlength=slots)
+                np.add.at(counts, (np.concatenate(fresh) % U64(slots)).astype(np.int64), 1)
             m = len(ids)
             yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(nodes, pa.int64()), pa.array(sizes, pa.int32()), none(m, pa.int32()), none(m, pa.int32()), none(m, pa.binary())], ["doc_id", "node", "n", "chunk", "part", "counts"])
         part, width = TaskContext.get().partitionId() % 256, slots // CHUNKS
-        data = [zlib.compress(counts[c * width : (c + 1) * width].tobytes(), 1) for c in range(CHUNKS)]
+        data = [zlib.compress(counts[c * width : (c + 1) * width].astype(np.int64).tobytes(), 1) for c in range(CHUNKS)]
         yield pa.RecordBatch.from_arrays([none(CHUNKS, pa.int64()), none(CHUNKS, pa.int64()), none(CHUNKS, pa.int32()), pa.array(range(CHUNKS), pa.int32()), pa.array([part] * CHUNKS, pa.int32()), pa.array(data, pa.binary())], ["doc_id", "node", "n", "chunk", "part", "counts"])
 
     return text_bytes(docs).mapInArrow(run, "doc_id long, node long, n int, chunk int, part int, counts binary")
@@ -153,8 +155,7 @@ def _postings(docs: DataFrame, counts: np.ndarray, frequent: int, percent: int)
         for _, texts in columns(batches, "doc_id", "text"):
             for at in range(0, len(texts), 1000):
                 keys, pairs, nodes, sizes, whole = [], [], [], [], []
-                for text in texts[at : at + 1000]:
-                    s = shingles.of(text)
+                for s in shingles.each(texts[at : at + 1000]):
                     node = node_of(s)
                     if node in seen:
                         continue
@@ -173,17 +174,16 @@ def _postings(docs: DataFrame, counts: np.ndarray, frequent: int, percent: int)
 
 
 def _shared_keys(postings: DataFrame) -> DataFrame:
-    """Postings whose key has two nodes or more, with the key's least node and that node's size.
+    """Postings whose key has two nodes or more.
 
     A key of one shingle is held by as many nodes as its count allows, so a window serves; keys of pairs may be held by
     any number of nodes and go through a grouped minimum and a join, which can be split.
     """
-    least = F.min(F.struct("node", "n", "whole"))
     over = Window.partitionBy("key")
-    single = postings.where("not paired").withColumn("top", F.max("node").over(over)).withColumn("pivot", least.over(over)).where("pivot.node <> top").drop("top")
+    single = postings.where("not paired").withColumn("lo", F.min("node").over(over)).withColumn("hi", F.max("node").over(over)).where("lo <> hi").drop("lo", "hi")
     paired = postings.where("paired")
-    ends = paired.groupBy("key").agg(least.alias("pivot"), F.max("node").alias("top")).where("pivot.node <> top").drop("top")
-    return single.unionByName(paired.join(ends, "key"))
+    ends = paired.groupBy("key").agg(F.min("node").alias("lo"), F.max("node").alias("hi")).where("lo <> hi").select("key")
+    return single.unionByName(paired.join(ends, "key", "left_semi"))
 
 
 def _bounded(pairs: DataFrame, percent: int) -> DataFrame:
@@ -200,54 +200,86 @@ def _bounded(pairs: DataFrame, percent: int) -> DataFrame:
 
 
 def _sets(docs: DataFrame, reps: DataFrame, nodes: DataFrame) -> DataFrame:
-    """node, s: the sorted shingle hashes of the wanted nodes."""
+    """node, s, bits: the sorted shingle hashes and the parity maps of the wanted nodes."""
     wanted = nodes.join(reps, "node").select("doc_id")
 
     def run(batches: Iterator) -> Iterator:
         shingles = Shingles()
         for _, texts in columns(batches, "doc_id", "text"):
             for at in range(0, len(texts), 1000):
-                found = [shingles.of(t) for t in texts[at : at + 1000]]
-                yield pa.RecordBatch.from_arrays([pa.array([node_of(s) for s in found], pa.int64()), pa.array([signed(s) for s in found], pa.list_(pa.int64()))], ["node", "s"])
+                found = list(shingles.each(texts[at : at + 1000]))
+                yield pa.RecordBatch.from_arrays([pa.array([node_of(s) for s in found], pa.int64()), pa.array([signed(s) for s in found], pa.list_(pa.int64())), pa.array([parity(s) for s in found], pa.list_(pa.int64()))], ["node", "s", "bits"])
 
     matched = docs.join(wanted, docs["doc_id"].eqNullSafe(wanted["doc_id"]), "left_semi")
-    return text_bytes(matched).mapInArrow(run, "node long, s array<long>").dropDuplicates(["node"])
+    return text_bytes(matched).mapInArrow(run, "node long, s array<long>, bits array<long>").dropDuplicates(["node"])
 
 
-def _verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+def _overlaps(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """a, b, their overlap o on the whole sets, and whether they link."""
     a, b = sets.select(F.col("node").alias("a"), F.col("s").alias("sa")), sets.select(F.col("node").alias("b"), F.col("s").alias("sb"))
     both = pairs.join(a, "a").join(b, "b").withColumn("o", F.size(F.array_intersect("sa", "sb")))
-    return both.where(f"100 * o >= {percent} * (size(sa) + size(sb) - o)").select("a", "b")
+    return both.select("a", "b", "o", F.expr(f"100 * o >= {percent} * (size(sa) + size(sb) - o)").alias("linked"))
 
 
-def near_duplicates(docs: DataFrame, percent: int = PERCENT, slots: int = COUNT_SLOTS, frequent: int = 256) -> DataFrame:
+def parity(s: np.ndarray) -> np.ndarray:
+    """PARITY_WORDS longs: bit i tells whether an odd number of shingles hash to i.
+
+    Two such maps differ in at most as many bits as the sets differ in shingles.
+    """
+    bits = np.bincount(((s >> U64(40)) % U64(64 * PARITY_WORDS)).astype(np.int64), minlength=64 * PARITY_WORDS) & 1
+    return np.packbits(bits.astype(np.uint8)).view(np.int64)
+
+
+def _sides(rows: DataFrame, a: str, b: str) -> DataFrame:
+    """Rows (a, an, aw, b, bn, bw, paired) with a < b, of two structs (node, n, whole)."""
+    swap = F.col(f"{a}.node") > F.col(f"{b}.node")
+    x, y = F.when(swap, F.col(b)).otherwise(F.col(a)), F.when(swap, F.col(a)).otherwise(F.col(b))
+    return rows.select(x.alias("x"), y.alias("y"), "paired").select(F.col("x.node").alias("a"), F.col("x.n").alias("an"), F.col("x.whole").alias("aw"), F.col("y.node").alias("b"), F.col("y.n").alias("bn"), F.col("y.whole").alias("bw"), "paired")
+
+
+def near_duplicates(docs: DataFrame, percent: int = PERCENT, slots: int = COUNT_SLOTS, frequent: int = 8) -> DataFrame:
     """One row per document: doc_id, n_shingles, component_id.
 
-    A shingle is frequent if its estimated count is over ``frequent`` plus four times the table's mean load.
+    A shingle is frequent if its estimated count is over the table's mean load by ``frequent`` or a standard error; a
+    rare one taken for a frequent one by chance costs nothing, as a prefix needs a quarter of rare ones only.
     """
     checkpoints(docs.sparkSession)
-    features = _features(docs, slots).checkpoint()
+    features = stored(_features(docs, slots))
     rows = features.where("chunk is null").select("doc_id", "node", "n")
     counts = _shingle_counts(features, slots)
-    limit = int(frequent + 4 * counts.mean())
-    keys = _shared_keys(_postings(docs, counts, limit, percent)).checkpoint()
-    star = keys.where("node <> pivot.node").select(F.col("pivot.node").alias("a"), F.col("pivot.n").alias("an"), F.col("pivot.whole").alias("aw"), F.col("node").alias("b"), F.col("n").alias("bn"), F.col("whole").alias("bw"), "paired")
-    first = _bounded(star, percent).checkpoint()
+    load = counts.mean()
+    limit = int(load + max(frequent, load**0.5))
+    keys = stored(_shared_keys(_postings(docs, counts, limit, percent)))
+    release(docs.sparkSession)  # the postings' shuffle is the largest of all
     reps = rows.groupBy("node").agg(F.min("doc_id").alias("doc_id"))
     ends = lambda p: p.select(F.col("a").alias("node")).unionByName(p.select(F.col("b").alias("node"))).distinct()
-    sets = _sets(docs, reps, ends(first)).checkpoint()
-    links = _verified(first, sets, percent).checkpoint()
+
+    draw = F.xxhash64("node", F.col("key").bitwiseAND(3))
+    pivots = keys.groupBy("key").agg(F.min(F.struct(draw.alias("draw"), "node", "n", "whole")).alias("p"))
+    star = keys.join(pivots, "key").where("node <> p.node").select(F.struct("node", "n", "whole").alias("own"), F.struct("p.node", "p.n", "p.whole").alias("other"), "paired")
+    pairs = _bounded(_sides(star, "own", "other"), percent).checkpoint()
+    sets = stored(_sets(docs, reps, ends(pairs).unionByName(keys.where("paired").select("node")).distinct()))
+    done = _overlaps(pairs, sets, percent).checkpoint()
+    release(docs.sparkSession)
+    links = done.where("linked").select("a", "b")
     components = connected_components(links)
 
-    labelled = keys.drop("pivot").join(components, "node", "left").withColumn("component", F.coalesce("component", "node"))
+    labelled = keys.join(components, "node", "left").withColumn("component", F.coalesce("component", "node"))
     mixed = labelled.groupBy("key").agg(F.min("component").alias("lo"), F.max("component").alias("hi")).where("lo <> hi").select("key")
     left = labelled.join(mixed, "key", "left_semi")
-    side = lambda x: left.select("key", "paired", F.col("node").alias(x), F.col("n").alias(f"{x}n"), F.col("whole").alias(f"{x}w"), F.col("component").alias(f"{x}c"))
-    across = side("a").join(side("b").drop("paired"), "key").where("a < b and ac <> bc")
-    second = _bounded(across, percent).join(first, ["a", "b"], "left_anti").checkpoint()
-    if not second.isEmpty():
-        more = ends(second).join(sets.select("node"), "node", "left_anti")
-        found = _verified(second, sets.unionByName(_sets(docs, reps, more)), percent).checkpoint()
+    side = lambda rows, x: rows.select("key", "paired", F.struct("node", "n", "whole").alias(x), F.col("component").alias(f"{x}_c"), *[F.col("bits").alias(f"{x}_bits")] * ("bits" in rows.columns))
+    met = "own.node < other.node and own_c <> other_c and 100 * least(own.n, other.n) >= {0} * greatest(own.n, other.n)".format(percent)
+    differ = " + ".join(f"bit_count(own_bits[{i}] ^ other_bits[{i}])" for i in range(PARITY_WORDS))
+    near = f"{100 + percent} * ({differ}) <= {100 - percent} * (own.n + other.n)"
+    one, two = left.where("not paired"), left.where("paired").join(sets.select("node", "bits"), "node")
+    across = side(one, "own").join(side(one, "other").drop("paired"), "key").where(met).select("own", "other", "paired")
+    across = across.unionByName(side(two, "own").join(side(two, "other").drop("paired"), "key").where(f"{met} and {near}").select("own", "other", "paired"))
+    rest = _bounded(_sides(across, "own", "other"), percent).join(done, ["a", "b"], "left_anti").checkpoint()
+    del across, one, two, left, mixed, labelled
+    release(docs.sparkSession)
+    if not rest.isEmpty():
+        more = ends(rest).join(sets.select("node"), "node", "left_anti")
+        found = _overlaps(rest, sets.unionByName(_sets(docs, reps, more)), percent).where("linked").select("a", "b").checkpoint()
         if not found.isEmpty():
             components = connected_components(links.unionByName(found))
 
@@ -257,5 +289,11 @@ def near_duplicates(docs: DataFrame, percent: int = PERCENT, slots: int = COUNT_
     return out.unionByName(rows.where("n = 0").select("doc_id", F.lit(0).cast("long").alias("n_shingles"), F.col("doc_id").alias("component_id")))
 
 
+def keep_one(docs: DataFrame, **options) -> DataFrame:
+    """``docs`` without the documents that have a near duplicate of a smaller id; without ids nothing can be left out."""
+    gone = near_duplicates(docs, **options).where("doc_id <> component_id").select(F.col("doc_id").alias("gone__"))
+    return docs.join(gone, docs["doc_id"] == gone["gone__"], "left_anti")
+
+
 def op5_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_duplicates(documents(spark, sf_dir))
