@@ -31,7 +31,7 @@ from rangegate.llm.text import columns, documents, text_bytes
 
 SLOTS = 1 << 18
 GRADES = 3
-MAX_RATED = 20_000
+MAX_RATED = 10_000
 MIN_TAIL = 0.5
 _MARKS = bytes(range(0x21, 0x30)) + bytes(range(0x3A, 0x41)) + bytes(range(0x5B, 0x61)) + bytes(range(0x7B, 0x7F))
 _CLASSES = bytes(0x61 if 0x61 <= c <= 0x7A or c >= 0x80 else 0x41 if 0x41 <= c <= 0x5A else 0x30 if 0x30 <= c <= 0x39 else c for c in range(256))
@@ -42,19 +42,22 @@ _RUNS = re.compile(rb"(.)\1+", re.DOTALL)
 class Features:
     """Sorted distinct feature slots of a text; words and shapes are kept per worker up to ``limit``."""
 
-    def __init__(self, slots: int = SLOTS, limit: int = 400_000):
+    def __init__(self, slots: int = SLOTS, limit: int = 120_000):
         self.slots, self.limit = slots, limit
-        self.known: dict[bytes, tuple[list[int], bytes]] = {}
+        self.known: dict[bytes, tuple[tuple[int, ...], bytes]] = {}
+        self.shapes: dict[bytes, bytes] = {}
 
     def _slot(self, feature: bytes) -> int:
         return xxhash.xxh3_64_intdigest(feature) % self.slots
 
-    def _word(self, word: bytes) -> tuple[list[int], bytes]:
+    def _word(self, word: bytes) -> tuple[tuple[int, ...], bytes]:
         if len(self.known) >= self.limit:
             self.known.clear()
+            self.shapes.clear()
         bare = word.strip(_MARKS).lower()
-        slots = [self._slot(b"w" + bare), *(self._slot(b"b" + bare[:n]) for n in range(4, 9) if n < len(bare))]
-        value = self.known[word] = (slots, _RUNS.sub(rb"\1", word.translate(_CLASSES)))
+        slots = (self._slot(b"w" + bare), *(self._slot(b"b" + bare[:n]) for n in range(4, 9) if n < len(bare)))
+        shape = _RUNS.sub(rb"\1", word.translate(_CLASSES))
+        value = self.known[word] = (slots, self.shapes.setdefault(shape, shape))
         return value
 
     def of(self, text: bytes | None) -> np.ndarray:
@@ -97,16 +100,16 @@ def fit(docs: list[np.ndarray], grades: np.ndarray, slots: int = SLOTS, rounds:
     present = np.unique(grades)
     if len(present) < 2:
         return OrdinalModel(np.zeros(slots, np.float32), np.arange(1 - GRADES / 2, GRADES / 2)[: GRADES - 1], False)
-    lengths = np.array([len(d) for d in docs])
-    flat, row = np.concatenate(docs), np.repeat(np.arange(len(docs)), lengths)
-    used, seen = np.zeros(slots, bool), np.bincount(flat, minlength=slots)
+    by_grade = np.zeros((GRADES, slots), np.int32)
+    for d, g in zip(docs, grades, strict=True):
+        by_grade[g, d] += 1
+    used, rate_all = np.zeros(slots, bool), by_grade.sum(axis=0) / len(docs)
     for g in present[1:]:
-        high = grades >= g
-        inside, n = np.bincount(flat[high[row]], minlength=slots), high.sum()
-        rate_all = seen / len(docs)
+        n = int((grades >= g).sum())
         error = np.sqrt(np.maximum(rate_all * (1 - rate_all), 1e-12) * (1 / n + 1 / (len(docs) - n)))
-        used |= np.abs(inside / n - (seen - inside) / (len(docs) - n)) >= min_z * error
-    flat, row = flat[used[flat]], row[used[flat]]
+        used |= np.abs(by_grade[g:].sum(axis=0) / n - by_grade[:g].sum(axis=0) / (len(docs) - n)) >= min_z * error
+    docs = [d[used[d]] for d in docs]
+    flat, row = np.concatenate(docs), np.repeat(np.arange(len(docs)), [len(d) for d in docs])
     share = np.bincount(grades, minlength=GRADES)
     weight = (len(docs) / share[grades]) ** balance
     weight /= weight.sum()
