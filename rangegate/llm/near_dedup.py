@@ -31,7 +31,7 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark import TaskContext
+from pyspark import Broadcast, TaskContext
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -99,9 +99,9 @@ def _shingle_counts(features: DataFrame, slots: int) -> np.ndarray:
 
     parts = features.where("chunk is not null").select("chunk", "part", "counts")
     rows = parts.groupBy("chunk", "part").applyInArrow(added, "chunk int, counts binary").groupBy("chunk").applyInArrow(added, "chunk int, counts binary").collect()
-    out = np.zeros((CHUNKS, slots // CHUNKS), np.int64)
+    out = np.zeros((CHUNKS, slots // CHUNKS), np.uint32)
     for row in rows:
-        out[row.chunk] = np.frombuffer(zlib.decompress(bytes(row.counts)), np.int64)
+        out[row.chunk] = np.minimum(np.frombuffer(zlib.decompress(bytes(row.counts)), np.int64), np.iinfo(np.uint32).max)
     return out.ravel()
 
 
@@ -145,9 +145,8 @@ def index_keys(s: np.ndarray, counts: np.ndarray, frequent: int, bands: list[int
     return rare, np.unique(np.concatenate(found)) if found else none
 
 
-def _postings(docs: DataFrame, counts: np.ndarray, frequent: int, percent: int) -> DataFrame:
+def _postings(docs: DataFrame, shared: Broadcast, frequent: int, percent: int) -> DataFrame:
     """key, paired (a key of two shingles), node, n, whole (the node has keys of single shingles only)."""
-    shared = docs.sparkSession.sparkContext.broadcast(counts.astype(np.float32))
     bands = size_bands(percent)
 
     def run(batches: Iterator) -> Iterator:
@@ -249,7 +248,10 @@ def near_duplicates(docs: DataFrame, percent: int = PERCENT, slots: int = COUNT_
     counts = _shingle_counts(features, slots)
     load = counts.mean()
     limit = int(load + max(frequent, load**0.5))
-    keys = stored(_shared_keys(_postings(docs, counts, limit, percent)))
+    table = docs.sparkSession.sparkContext.broadcast(counts)  # 4 bytes a slot, whatever the data
+    del counts
+    keys = stored(_shared_keys(_postings(docs, table, limit, percent)))
+    table.destroy()
     release(docs.sparkSession)  # the postings' shuffle is the largest of all
     reps = rows.groupBy("node").agg(F.min("doc_id").alias("doc_id"))
     ends = lambda p: p.select(F.col("a").alias("node")).unionByName(p.select(F.col("b").alias("node"))).distinct()

@@ -31,7 +31,7 @@ from rangegate.llm.text import columns, documents, text_bytes
 
 SLOTS = 1 << 18
 GRADES = 3
-MAX_RATED = 10_000
+MAX_RATED = 6_000
 MIN_TAIL = 0.5
 _MARKS = bytes(range(0x21, 0x30)) + bytes(range(0x3A, 0x41)) + bytes(range(0x5B, 0x61)) + bytes(range(0x7B, 0x7F))
 _CLASSES = bytes(0x61 if 0x61 <= c <= 0x7A or c >= 0x80 else 0x41 if 0x41 <= c <= 0x5A else 0x30 if 0x30 <= c <= 0x39 else c for c in range(256))
@@ -185,9 +185,11 @@ def keep_good(docs: DataFrame, model: OrdinalModel, min_tail: float = MIN_TAIL)
     def run(batches: Iterator) -> Iterator:
         features, m = Features(), shared.value
         for batch in batches:
-            texts = batch.column("text").cast(pa.binary()).to_pylist()
-            kept = m.tails(m.scores([features.of(t) for t in texts]))[:, -1] >= min_tail if m.trained else np.ones(len(texts), bool)
-            yield batch.filter(pa.array(kept))
+            for at in range(0, batch.num_rows, 1000):
+                part = batch.slice(at, 1000)
+                texts = part.column("text").cast(pa.binary()).to_pylist()
+                kept = m.tails(m.scores([features.of(t) for t in texts]))[:, -1] >= min_tail if m.trained else np.ones(len(texts), bool)
+                yield part.filter(pa.array(kept))
 
     return docs.mapInArrow(run, docs.schema)
 

@@ -146,8 +146,9 @@ def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/documents.parquet")
 
 
-def columns(batches: Iterator, *names: str) -> Iterator[tuple[list, ...]]:
-    """Python lists of the named columns, batch by batch."""
+def columns(batches: Iterator, *names: str, rows: int = 1000) -> Iterator[tuple[list, ...]]:
+    """Python lists of the named columns, at most ``rows`` rows at a time, so that few texts are held twice."""
     for batch in batches:
-        if batch.num_rows:
-            yield tuple(batch.column(n).to_pylist() for n in names)
+        for at in range(0, batch.num_rows, rows):
+            part = batch.slice(at, rows)
+            yield tuple(part.column(n).to_pylist() for n in names)
