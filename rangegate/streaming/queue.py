@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import json
 from collections.abc import Iterator
 
 import pandas as pd
@@ -22,18 +23,18 @@ def stream_queue(executed: DataFrame, capacity: int = 20_000, every: int = 100)
     """The same queue over a stream of (store, seq, lo, hi): after each micro-batch, store, size and last number."""
 
     def step(key: tuple, frames: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
-        count, seqs = state.get if state.exists else (0, [])
-        seqs = list(seqs)
+        count, held = state.get if state.exists else (0, "[]")
+        seqs = json.loads(held)
         for frame in frames:
             for seq in frame.sort_values("seq")["seq"]:
                 count += 1
                 if count % every == 0:
                     seqs.append(int(seq))
         seqs = seqs[-capacity:]
-        state.update((count, seqs))
-        yield pd.DataFrame({"store": [key[0]], "seen": [count], "size": [len(seqs)], "last_seq": [seqs[-1] if seqs else -1]})
+        state.update((count, json.dumps(seqs)))
+        yield pd.DataFrame({"store": [str(key[0])], "seen": [count], "size": [len(seqs)], "last_seq": [seqs[-1] if seqs else -1]})
 
-    return executed.groupBy("store").applyInPandasWithState(step, "store string, seen long, size long, last_seq long", "seen long, seqs array<long>", "update", "NoTimeout")
+    return executed.groupBy("store").applyInPandasWithState(step, "store string, seen long, size long, last_seq long", "seen long, seqs string", "update", "NoTimeout")
 
 
 def event_windows(events: DataFrame, length: str, slide: str | None = None) -> DataFrame:

@@ -126,3 +126,32 @@ def test_query_equals_oracle(spark, name):
     want = con.sql(engine.ORACLES[name])
     order = [want.columns.index(c) for c in got.columns]
     assert sorted(map(tuple, got.collect()), key=str) == sorted((tuple(r[i] for i in order) for r in want.fetchall()), key=str)
+
+
+@pytest.mark.parametrize("depth", [5, 8, 13, 20])
+def test_trie_round_trip_and_estimate(depth):
+    from rangegate.operators import trie
+
+    prefixes = np.unique(np.random.default_rng(depth).integers(0, 1 << depth, 300))
+    n = {l: len(np.unique(prefixes >> (depth - l))) if l else 1 for l in range(depth + 1)}
+    for dense in range(-(-depth // 8) + 1):
+        assert (trie.decode(trie.encode(prefixes, depth, dense)) == prefixes).all()
+        cost = sum(n[s] * (2 * 2 ** (min(s + 8, depth) - s) + 1) if s // 8 < dense else n[min(s + 8, depth)] * (min(s + 8, depth) - s + 2) for s in range(0, depth, 8))
+        assert trie.exact_bits(prefixes, depth, dense) <= math.ceil(cost * 17 / 16)
+
+
+def test_filters_follow_a_shift(spark):
+    rows = engine.QUERIES["shift_step"](spark, SF).collect()
+    last = {r.refresh: r.fpr for r in rows if r.batch == 3}
+    assert last[True] <= last[False] and all(r.false_negatives == 0 for r in rows)
+
+
+def test_stream_queue_keeps_every_nth(spark, tmp_path):
+    from rangegate.streaming import queue
+
+    spark.range(95).selectExpr("1L as store", "id as seq", "id as lo", "id as hi").write.parquet(str(tmp_path / "in"))
+    stream = spark.readStream.schema("store long, seq long, lo long, hi long").parquet(str(tmp_path / "in"))
+    query = queue.stream_queue(stream, capacity=5, every=10).writeStream.format("memory").queryName("queue_out").outputMode("update").option("checkpointLocation", str(tmp_path / "state")).trigger(availableNow=True).start()
+    query.awaitTermination(120)
+    row = spark.table("queue_out").first()
+    assert (row.seen, row.size, row.last_seq) == (95, 5, 89)
