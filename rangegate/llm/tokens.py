@@ -21,7 +21,7 @@ END_ID = 1
 class WordBpe:
     """Encoder of one worker; ``limit`` bounds the pieces that are kept."""
 
-    def __init__(self, path: str, limit: int = 1_000_000):
+    def __init__(self, path: str, limit: int = 400_000):
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
