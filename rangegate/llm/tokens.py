@@ -30,9 +30,11 @@ class WordBpe:
         self.known: dict[str, bytes] = {}
 
     def _learn(self, pieces: set[str]) -> None:
-        if len(self.known) + len(pieces) > self.limit:
+        """Makes all of ``pieces`` known; beyond the limit older ones go first, those asked for never do."""
+        new = list(pieces.difference(self.known))
+        if len(self.known) + len(new) > self.limit:
             self.known.clear()
-        new = list(pieces)
+            new = list(pieces)
         for at in range(0, len(new), 2000):
             part = new[at : at + 2000]
             e = self.tokenizer.encode(" ".join(part), add_special_tokens=False)  # a space parts the pieces
@@ -43,7 +45,7 @@ class WordBpe:
     def encode(self, texts: list[str | None]) -> list[bytes]:
         """Ids of each text as little-endian unsigned 32-bit integers; a null text has none."""
         cut = [PIECES.findall(t.lower()) if t and PLAIN.fullmatch(t) else t for t in texts]
-        self._learn({p for c in cut if isinstance(c, list) for p in c}.difference(self.known))
+        self._learn({p for c in cut if isinstance(c, list) for p in c})
         known = self.known
         return [b"".join([known[p] for p in c]) if isinstance(c, list) else self._whole(c) for c in cut]
 

@@ -160,6 +160,12 @@ def test_tokenizer_agrees_with_whole_texts():
     assert bpe.encode(given) == [bpe._whole(t) for t in given]
 
 
+def test_tokenizer_keeps_the_pieces_it_needs_beyond_its_limit():
+    bpe = WordBpe(default_path(), limit=4)
+    for given in (["one two three"], ["two four five", "one six"], ["a b c d e f"], ["six a", None, "x1 y2"]):
+        assert bpe.encode(given) == [bpe._whole(t) for t in given]
+
+
 def test_training_order(docs, empty, tmp_path):
     for n in (1, 2, 17, 1000):
         slots = token_shards.feistel(np.arange(n), n)
