@@ -13,6 +13,7 @@ empty table gives an empty result; other columns are ignored.
 from __future__ import annotations
 
 import os
+import uuid
 import zlib
 from collections.abc import Iterator
 from urllib.parse import urlparse
@@ -24,7 +25,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from rangegate.llm.graph import stored
+from rangegate.llm.graph import checkpoints, stored
 from rangegate.llm.text import columns, documents, mix64
 from rangegate.llm.tokens import END_ID, default_path, encoder
 
@@ -118,12 +119,20 @@ def training_order(docs: DataFrame, tokenizer_path: str, width: int = SEQUENCE_T
     return ordered.select("slot", "shard", (F.col("slot") % shard_slots * (2 * width)).alias("byte_offset"), "n_tokens", "pieces", "ids")
 
 
+def mounted(folder: str) -> str:
+    """The path of a folder that executors open as files."""
+    url = urlparse(folder)
+    if url.scheme not in ("", "file"):
+        raise ValueError(f"shards need a mounted folder, not {folder}")
+    return url.path
+
+
 def write_shards(ordered: DataFrame, folder: str, width: int = SEQUENCE_TOKENS, shard_slots: int = SHARD_SLOTS) -> DataFrame:
     """Writes shard-N.bin files of fixed stride under a folder that all executors mount; returns shard, slots, crc32.
 
     Each file is renamed into place when it is whole, so a lost task may run again.
     """
-    path = urlparse(folder).path
+    path = mounted(folder)
 
     def run(batches: Iterator) -> Iterator:
         os.makedirs(path, exist_ok=True)
@@ -148,13 +157,45 @@ def read_slots(folder: str, first: int, count: int, width: int = SEQUENCE_TOKENS
     """Ids of ``count`` slots from slot ``first`` on, read at their place."""
     out = []
     for slot in range(first, first + count):
-        with open(f"{urlparse(folder).path}/shard-{slot // shard_slots:06d}.bin", "rb") as f:
+        with open(f"{mounted(folder)}/shard-{slot // shard_slots:06d}.bin", "rb") as f:
             f.seek(slot % shard_slots * 2 * width)
             out.append(np.frombuffer(f.read(2 * width), "<u2"))
     return np.stack(out)
 
 
+def read_back(ordered: DataFrame, folder: str, width: int = SEQUENCE_TOKENS, shard_slots: int = SHARD_SLOTS) -> DataFrame:
+    """slot, shard, byte_offset, n_tokens, ids_crc32, pieces; the checksum is of the stride that the shard file holds at that place."""
+    path, stride = mounted(folder), 2 * width
+
+    def run(batches: Iterator) -> Iterator:
+        f, opened = None, None
+        for batch in batches:
+            crc = []
+            for shard, at in zip(batch.column("shard").to_pylist(), batch.column("byte_offset").to_pylist(), strict=True):
+                if shard != opened:
+                    if f:
+                        f.close()
+                    f, opened = open(f"{path}/shard-{shard:06d}.bin", "rb"), shard
+                f.seek(at)
+                data = f.read(stride)
+                if len(data) < stride:
+                    raise ValueError(f"shard {shard} ends inside the slot at byte {at}")
+                crc.append(zlib.crc32(data))
+            kept = [batch.column(c) for c in ("slot", "shard", "byte_offset", "n_tokens")]
+            yield pa.RecordBatch.from_arrays([*kept, pa.array(crc, pa.int64()), batch.column("pieces")], ["slot", "shard", "byte_offset", "n_tokens", "ids_crc32", "pieces"])
+        if f:
+            f.close()
+
+    rows = ordered.select("slot", "shard", "byte_offset", "n_tokens", "pieces")
+    return rows.mapInArrow(run, f"slot long, shard long, byte_offset long, n_tokens int, ids_crc32 long, pieces {PIECE}")
+
+
 def op6_training_order(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """slot, shard, byte_offset, n_tokens, ids_crc32 (of the stride), pieces of every sequence."""
+    """Writes the shards of all sequences; slot, shard, byte_offset, n_tokens, ids_crc32 (of the stride on disk), pieces of each.
+
+    The files are those of a new folder shards-* in the checkpoint folder.
+    """
     rows = training_order(documents(spark, sf_dir), default_path())
-    return rows.select("slot", "shard", "byte_offset", "n_tokens", F.crc32("ids").alias("ids_crc32"), "pieces")
+    folder = f"{checkpoints(spark)}/shards-{uuid.uuid4().hex}"
+    write_shards(rows, folder).agg(F.sum("slots")).collect()
+    return read_back(rows, folder)

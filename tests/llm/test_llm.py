@@ -3,6 +3,8 @@
 import math
 import zlib
 from collections import Counter, defaultdict
+from pathlib import Path
+from urllib.parse import urlparse
 
 import duckdb
 import numpy as np
@@ -186,6 +188,27 @@ def test_training_order(docs, empty, tmp_path):
     assert token_shards.training_order(empty, default_path()).count() == 0
 
 
+def test_training_order_query_writes_its_shards(spark):
+    home = Path(urlparse(graph.checkpoints(spark)).path)
+    before = set(home.glob("shards-*"))
+    rows = token_shards.op6_training_order(spark, SF).orderBy("slot").collect()
+    (folder,) = set(home.glob("shards-*")) - before
+    data = b"".join(p.read_bytes() for p in sorted(folder.iterdir()))
+    stride = 2 * token_shards.SEQUENCE_TOKENS
+    assert len(data) == stride * len(rows) and sorted(p.name for p in folder.iterdir()) == [f"shard-{i:06d}.bin" for i in range(len(list(folder.iterdir())))]
+    whole = defaultdict(dict)
+    for i, r in enumerate(rows):
+        part = data[i * stride : (i + 1) * stride]
+        assert (r.slot, r.shard, r.byte_offset) == (i, i // token_shards.SHARD_SLOTS, i % token_shards.SHARD_SLOTS * stride) and r.ids_crc32 == zlib.crc32(part)
+        ids, at = np.frombuffer(part, "<u2"), 0
+        for p in r.pieces:
+            whole[p.doc_id][p.start] = ids[at : at + p.length]
+            at += p.length
+    given = spark.read.parquet(f"{SF}/documents.parquet").select("doc_id", "text").collect()
+    for d, e in zip(given, WordBpe(default_path()).encode([d.text for d in given]), strict=True):
+        assert np.concatenate([whole[d.doc_id][k] for k in sorted(whole[d.doc_id])]).tolist() == [*np.frombuffer(e, "<u4").tolist(), 1]
+
+
 def test_line_dedup(docs, empty):
     got = {r.doc_id: r for r in line_dedup.dedup_lines(docs, drop_emptied=False).collect()}
     given = texts()
