@@ -263,6 +263,23 @@ def test_context_mixing(docs, empty):
     assert lm_score.score(empty).count() == 0
 
 
+def test_context_counts_cover_all_words(spark):
+    rows = lm_score._context_counts(spark.createDataFrame([(b"abc", 1), (b"abd", 1), (b"x", 3)], "word binary, total long")).collect()
+    assert sum(r.n for r in rows) == (4 + 4 + 2 * 3) * (lm_score.ORDERS + 1)
+
+
+def test_model_keeps_every_context():
+    rng = np.random.default_rng(3)
+    contexts = np.sort(np.unique(rng.integers(1, 1 << 56, 50_000, dtype=np.uint64))) << np.uint64(8)
+    raw, n = rng.integers(0, 256, len(contexts)).astype(np.uint8), rng.integers(1, 30, len(contexts))
+    m = lm_score.Model.of(contexts | raw, n, np.ones(256))
+    at, bit, inputs, _ = m.decisions(raw, np.tile(contexts, (lm_score.ORDERS, 1)), None)
+    want = np.log((n[at] + lm_score.PRIOR) / lm_score.PRIOR) * np.where(bit, 1, -1)
+    assert np.allclose(inputs[: lm_score.ORDERS], want, atol=1e-4)
+    _, _, unseen, _ = m.decisions(raw, np.tile(contexts ^ np.uint64(1 << 40), (lm_score.ORDERS, 1)), None)
+    assert (unseen[: lm_score.ORDERS] == 0).all()
+
+
 def test_huffman_is_complete():
     _, _, depth = lm_score.huffman(np.arange(256) + 0.5)
     assert math.isclose(sum(2.0**-d for d in depth), 1.0)
