@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from rangegate.functions.amq import bloom_fpr, one_minus_pow, probe_bin
 from rangegate.functions.keys import KeySpace
-from rangegate.operators.model import fpr_dual, probes
+from rangegate.operators.model import fpr_dual, fpr_single, probes
 
 RANK_OVERHEAD = 1 / 16
 
@@ -86,7 +86,10 @@ def tune(profile: DataFrame, counts: DataFrame, space: KeySpace, bpk: float = 10
 
 
 def tune_dual(profile: DataFrame, counts: DataFrame, space: KeySpace, bpk: float = 10, splits: tuple = (0.4, 0.5, 0.6), grid: list[int] | None = None) -> DataFrame:
-    """run_id, l1, l2, split, exp_fpr: two Bloom filters with shares of the memory."""
+    """run_id, l1, l2, split, exp_fpr: two Bloom filters with shares of the memory.
+
+    Without a grid the designs of one filter that has the whole memory are among them, with l1 and split 0.
+    """
     memory = memory_of(counts, space.bits, bpk)
     lengths = grid or list(range(1, space.bits + 1))
     own = counts.join(memory, "run_id").where(F.col("l").isin(lengths))
@@ -94,6 +97,9 @@ def tune_dual(profile: DataFrame, counts: DataFrame, space: KeySpace, bpk: float
     first = own.select("run_id", F.col("l").alias("l1"), F.col("n").alias("n1"), "m", share)
     second = own.select("run_id", F.col("l").alias("l2"), F.col("n").alias("n2"))
     designs = first.join(second, "run_id").where("l1 < l2").select("run_id", "l1", "l2", "split", bloom_fpr(F.floor(F.col("m") * F.col("split")), F.col("n1")).alias("p1"), bloom_fpr(F.col("m") - F.floor(F.col("m") * F.col("split")), F.col("n2")).alias("p2"))
+    if grid is None:
+        designs = designs.unionByName(own.select("run_id", F.lit(0).alias("l1"), F.col("l").alias("l2"), F.lit(0.0).alias("split"), F.lit(1.0).alias("p1"), bloom_fpr(F.col("m"), F.col("n")).alias("p2")))
     rows = profile.where("is_empty").join(F.broadcast(designs), "run_id")
-    rate = fpr_dual(space, F.col("l1"), F.col("l2"), F.col("p1"), F.col("p2"))
+    two = fpr_dual(space, F.col("l1"), F.col("l2"), F.col("p1"), F.col("p2"))
+    rate = F.when(F.col("l1") == 0, fpr_single(F.col("near"), space.span("lo", "hi", F.col("l2")), F.col("l2"), F.col("p2"))).otherwise(two)
     return rows.groupBy("run_id", "l1", "l2", "split").agg(F.round(F.avg(rate), 9).alias("exp_fpr"))

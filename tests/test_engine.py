@@ -103,6 +103,13 @@ def test_proximity_decides_emptiness_of_prefixes(spark):
             assert (np.searchsorted(prefixes, b, side="right") > np.searchsorted(prefixes, a)) == (r.near >= length)
 
 
+def test_dual_search_covers_all_lengths_and_one_filter(spark):
+    rows = {(r.l1, r.l2, r.split): r.exp_fpr for r in engine.QUERIES["design_space_dual_ts"](spark, SF).collect()}
+    k = workload.SETS["ts"].bits
+    assert set(rows) == {(a, b, s) for b in range(1, k + 1) for a in range(1, b) for s in (0.4, 0.5, 0.6)} | {(0, b, 0.0) for b in range(1, k + 1)}
+    assert engine.QUERIES["best_dual_ts"](spark, SF).first().exp_fpr == min(rows.values())
+
+
 def test_search_prefers_hybrid_on_split(spark):
     ks = workload.SETS["ts"]
     kk = workload.keys(spark, SF, "ts").persist()
