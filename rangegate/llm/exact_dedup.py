@@ -1,14 +1,16 @@
 """Exact deduplication by a cuckoo-filter index of live digests.
 
-Every text is reduced to the SHA-256 of its A-Z-folded UTF-8 bytes. Digests are dealt to buckets of bounded size; each
-bucket holds a cuckoo filter of short fingerprints plus the stored digests it stands for. A filter miss proves a digest
-new; a hit is verified against the stored digests. When a row with a larger id takes over a text, the live entry is
-deleted and inserted anew. A filter that cannot place an entry is rebuilt twice as large from the stored digests.
-
-Defined results: a null text counts as empty; repeated doc_ids count as separate rows; a null doc_id stays only if no
-other copy has an id; an empty table gives an empty
-result; other columns are ignored. Copies are combined in each task before the shuffle, so a text that a third of all
-rows share sends one row per task. Digests of 256 bits stand for the texts.
+Every text is reduced to the SHA-256 of its A-Z-folded UTF-8 bytes. Each task sends a digest once, with its largest doc_id
+and its rows; digests are dealt to buckets of bounded size. A bucket's index takes these rows one by one: a cuckoo filter
+of short fingerprints proves most digests new; a hit is verified against the digests stored in the bucket, and may be
+false. Copies of other tasks meet here: where a row with a larger id takes over a text, the live entry is deleted
+and inserted anew. A filter starts small; when it cannot place an entry it is built again twice as large from the stored
+digests. What the index holds at the end decides which rows stay.
+
+Defined results: a null text counts as empty; repeated doc_ids count as separate rows, so of equal texts all rows with the
+largest doc_id read as kept; a null doc_id stays only if no other copy has an id; an empty table gives an empty
+result; other columns are ignored. A text that a third of all rows share sends one row per task. Digests of 256 bits
+stand for the texts.
 """
 
 from __future__ import annotations
@@ -21,6 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from rangegate.llm.graph import stored
 from rangegate.llm.text import columns, documents, text_bytes
 
 SLOTS = 4
@@ -92,9 +95,10 @@ class DigestIndex:
     def __init__(self, capacity: int = 1024):
         self.filter = CuckooFilter(capacity)
         self.live: dict[bytes, tuple[int, int]] = {}
-        self.resizes = 0
+        self.misses = self.hits = self.false_hits = self.deletions = self.resizes = 0
 
-    def _insert(self, digest: bytes) -> None:
+    def _insert(self, digest: bytes, owner: int, rows: int) -> None:
+        self.live[digest] = (owner, rows)
         if not self.filter.insert(digest):
             capacity = self.filter.buckets * SLOTS
             while True:
@@ -106,14 +110,18 @@ class DigestIndex:
 
     def add(self, digest: bytes, owner: int, rows: int = 1) -> None:
         """Rows of a text whose largest id is ``owner``."""
-        known = self.live.get(digest) if digest in self.filter else None
+        known = None
+        if digest in self.filter:
+            known = self.live.get(digest)
+            self.hits += known is not None
+            self.false_hits += known is None
+        else:
+            self.misses += 1
         if known is None:
-            self.live[digest] = (owner, rows)
-            self._insert(digest)
+            self._insert(digest, owner, rows)
         elif owner > known[0]:
             self.remove(digest)
-            self.live[digest] = (owner, rows + known[1])
-            self._insert(digest)
+            self._insert(digest, owner, rows + known[1])
         else:
             self.live[digest] = (known[0], rows + known[1])
 
@@ -121,6 +129,7 @@ class DigestIndex:
         if digest in self.filter and digest in self.live:
             self.filter.delete(digest)
             del self.live[digest]
+            self.deletions += 1
             return True
         return False
 
@@ -139,26 +148,54 @@ def digests(docs: DataFrame) -> DataFrame:
     return text_bytes(docs).mapInArrow(run, "doc_id long, digest binary")
 
 
-def live_digests(rows: DataFrame, n_rows: int, bucket_rows: int = 500_000) -> DataFrame:
-    """digest, keep_id, group_size: the row that stays of each text, from buckets of about ``bucket_rows`` digests."""
-    combined = rows.groupBy("digest").agg(F.coalesce(F.max("doc_id"), F.lit(NO_ID)).alias("owner"), F.count("*").alias("n"))
+def _once_a_task(rows: DataFrame, limit: int = 500_000) -> DataFrame:
+    """digest, owner, n: rows of one digest combined while a task holds at most ``limit`` digests."""
+
+    def run(batches: Iterator) -> Iterator:
+        held: dict[bytes, tuple[int, int]] = {}
+
+        def out() -> pa.RecordBatch:
+            owner, n = zip(*held.values(), strict=True) if held else ((), ())
+            return pa.RecordBatch.from_arrays([pa.array(list(held), pa.binary()), pa.array(owner, pa.int64()), pa.array(n, pa.int64())], ["digest", "owner", "n"])
+
+        for ids, found in columns(batches, "doc_id", "digest", rows=10_000):
+            for doc_id, digest in zip(ids, found, strict=True):
+                owner, n = held.get(digest, (NO_ID, 0))
+                held[digest] = (owner if doc_id is None else max(owner, doc_id), n + 1)
+            if len(held) >= limit:
+                yield out()
+                held.clear()
+        yield out()
+
+    return rows.mapInArrow(run, "digest binary, owner long, n long")
+
+
+def live_digests(rows: DataFrame, n_rows: int, bucket_rows: int = 100_000, capacity: int = 1024) -> tuple[DataFrame, DataFrame]:
+    """digest, keep_id, group_size of each text; and bucket, misses, hits, false_hits, deletions, resizes of each index.
+
+    Buckets take about ``bucket_rows`` digests; ``capacity`` is that of a new filter.
+    """
     buckets = max(1, math.ceil(n_rows / bucket_rows))
 
-    def run(table: pa.Table) -> pa.Table:
-        index = DigestIndex(table.num_rows)
+    def run(key, table):
+        index = DigestIndex(capacity)
         for digest, owner, n in zip(*(table.column(c).to_pylist() for c in ("digest", "owner", "n")), strict=True):
             index.add(digest, owner, n)
         keep, sizes = zip(*index.live.values(), strict=True)
-        return pa.table({"digest": pa.array(list(index.live), pa.binary()), "keep_id": pa.array(keep, pa.int64()), "group_size": pa.array(sizes, pa.int64())})
+        none, counters = [None] * len(keep), [index.misses, index.hits, index.false_hits, index.deletions, index.resizes]
+        return pa.table({"bucket": pa.array([*none, key[0].as_py()], pa.int64()), "digest": pa.array([*index.live, None], pa.binary()), "keep_id": pa.array([*keep, None], pa.int64()), "group_size": pa.array([*sizes, None], pa.int64()), "counters": pa.array([*none, counters], pa.list_(pa.int64()))})
 
-    bucketed = combined.withColumn("bucket", F.pmod(F.xxhash64("digest"), F.lit(buckets)))
-    return bucketed.groupBy("bucket").applyInArrow(run, "digest binary, keep_id long, group_size long")
+    bucketed = _once_a_task(rows).withColumn("bucket", F.pmod(F.xxhash64("digest"), F.lit(buckets)))
+    out = stored(bucketed.groupBy("bucket").applyInArrow(run, "bucket long, digest binary, keep_id long, group_size long, counters array<long>"))
+    names = ("misses", "hits", "false_hits", "deletions", "resizes")
+    return out.where("digest is not null").select("digest", "keep_id", "group_size"), out.where("digest is null").select("bucket", *[F.col("counters")[i].alias(c) for i, c in enumerate(names)])
 
 
-def exact_dedup(docs: DataFrame) -> DataFrame:
+def exact_dedup(docs: DataFrame, **options) -> DataFrame:
     """One row per document: doc_id, keep_id, group_size, kept, text_sha256."""
-    rows = digests(docs)
-    joined = rows.join(live_digests(rows, docs.count()), "digest").withColumn("keep_id", F.nullif("keep_id", F.lit(NO_ID)))
+    rows = stored(digests(docs))
+    live, _ = live_digests(rows, rows.count(), **options)
+    joined = rows.join(live, "digest").withColumn("keep_id", F.nullif("keep_id", F.lit(NO_ID)))
     return joined.select("doc_id", "keep_id", "group_size", F.col("doc_id").eqNullSafe(F.col("keep_id")).alias("kept"), F.lower(F.hex("digest")).alias("text_sha256"))
 
 
