@@ -1,4 +1,4 @@
-"""Arithmetic hash family that Spark, DuckDB and numpy compute alike; xxhash64 serves where no oracle is needed."""
+"""Arithmetic hash family that Spark, DuckDB and numpy compute alike, and a 64-bit one for filters beyond its range."""
 
 from __future__ import annotations
 
@@ -43,7 +43,18 @@ def bloom_positions(x: Column, m: Column, h: int | Column) -> Column:
     return F.transform(F.sequence(F.lit(0), (F.lit(h) if isinstance(h, int) else h) - 1), lambda i: (first + i.cast("long") * step) % m)
 
 
-def bloom_positions_numpy(x: np.ndarray, m: int, h: int) -> np.ndarray:
-    """One row per hash function."""
-    first, step = mix_numpy(101, x), 1 + mix_numpy(102, x) % max(m - 1, 1)
-    return (first[None, :] + np.arange(h)[:, None] * step[None, :]) % m
+def mix64(x: np.ndarray, seed: int = 0) -> np.ndarray:
+    """64-bit hash of longs; a bijection for each seed."""
+    with np.errstate(over="ignore"):
+        x = x.astype(np.uint64) + np.uint64((2 * seed + 1) * 0x9E3779B97F4A7C15 % (1 << 64))
+        x = (x ^ (x >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)
+        x = (x ^ (x >> np.uint64(27))) * np.uint64(0x94D049BB133111EB)
+    return x ^ (x >> np.uint64(31))
+
+
+def hash_pair(x: np.ndarray, m: int) -> tuple[np.ndarray, np.ndarray]:
+    """Start and step of the double hashing of a filter of ``m`` bits; beyond 31 bits the arithmetic family is too narrow."""
+    if m <= P:
+        return mix_numpy(101, x), 1 + mix_numpy(102, x) % max(m - 1, 1)
+    first, step = ((mix64(x, s) >> np.uint64(2)).astype(np.int64) for s in (101, 102))
+    return first % m, 1 + step % (m - 1)

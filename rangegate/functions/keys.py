@@ -4,6 +4,8 @@ from __future__ import annotations
 
 from dataclasses import dataclass
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
@@ -49,6 +51,46 @@ def bit_length(x: Column) -> Column:
     return F.bit_count(x)
 
 
+def bit_length_numpy(x: np.ndarray) -> np.ndarray:
+    x = x.astype(np.uint64)
+    for step in (1, 2, 4, 8, 16, 32):
+        x = x | (x >> np.uint64(step))
+    return np.bitwise_count(x).astype(np.int64)
+
+
+def unsigned_code(x) -> Column:
+    """Signed long in the order of the 64-bit pattern read as unsigned; longs then compare and sort as unsigned do."""
+    return _c(x).bitwiseXOR(F.lit(-(1 << 63)))
+
+
+def double_code(x) -> Column:
+    """Long in the order of a double: bits of a positive one, those of a negative one turned; -0.0 counts as 0.0."""
+
+    @F.pandas_udf("long")
+    def code(values: pd.Series) -> pd.Series:
+        bits = (values.to_numpy(np.float64) + 0.0).view(np.int64)
+        return pd.Series(np.where(bits < 0, bits ^ np.int64(0x7FFFFFFFFFFFFFFF), bits), dtype="int64")
+
+    return F.when(_c(x).isNotNull(), code(F.coalesce(_c(x), F.lit(0.0))))
+
+
+def dyadic_cover(lo, hi, bits: int) -> Column:
+    """Array of (level, block): the fewest aligned blocks of 2^level codes that make up [lo, hi].
+
+    A block belongs to the cover if it lies inside and the block of twice its size around it does not.
+    """
+
+    def at(j: int) -> Column:
+        first, after = F.shiftright(_c(lo) + F.lit((1 << j) - 1), j), F.shiftright(_c(hi) + 1, j)
+        one = lambda use, block: F.when(use, F.array(F.struct(F.lit(j).alias("level"), block.alias("block")))).otherwise(F.array())
+        odd = first.bitwiseAND(F.lit(1).cast("long")) == 1
+        left = (first < after) & odd
+        right = (after.bitwiseAND(F.lit(1).cast("long")) == 1) & (first < after) & ~(odd & (first == after - 1))
+        return F.concat(one(left, first), one(right, after - 1))
+
+    return F.concat(*[at(j) for j in range(bits + 1)])
+
+
 def unsigned_less(a, b) -> Column:
     """a < b of 64-bit patterns read as unsigned."""
     low = F.lit(-(1 << 63))

@@ -2,11 +2,13 @@
 
 A filter is a list of prefix levels with one Bloom filter each, or a trie depth with one Bloom level, or unique prefixes.
 One level is the single filter, two are the dual filter, several are the hierarchical filter; the level of all bits is
-the whole-key filter. A run is bounded by the store, so a filter is built in one task.
+the whole-key filter. A run is bounded by the store, so a filter is built in one task; its bits stay packed when probed.
+Filters of up to 2^31 bits take the 31-bit arithmetic hash that oracles know, larger ones a 64-bit hash.
 """
 
 from __future__ import annotations
 
+import math
 from dataclasses import dataclass, field
 
 import numpy as np
@@ -15,10 +17,13 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from rangegate.functions.amq import num_hashes
-from rangegate.functions.hashes import bloom_positions_numpy, mix_numpy
+from rangegate.functions.hashes import hash_pair, mix64, mix_numpy
+from rangegate.functions.keys import bit_length_numpy
 
 PROBE_CAP = 1 << 16
+DYADIC_CAP = 1 << 10
 FILTER = "run_id long, kind string, lengths array<int>, depth int, m array<long>, h array<int>, words array<binary>, trie binary, aux binary, n_keys long, bits long"
+FILTER_ARROW = [("run_id", pa.int64()), ("kind", pa.string()), ("lengths", pa.list_(pa.int32())), ("depth", pa.int32()), ("m", pa.list_(pa.int64())), ("h", pa.list_(pa.int32())), ("words", pa.list_(pa.binary())), ("trie", pa.binary()), ("aux", pa.binary()), ("n_keys", pa.int64()), ("bits", pa.int64())]
 
 
 def _prefix(x: np.ndarray, bits: int, length: int) -> np.ndarray:
@@ -27,21 +32,150 @@ def _prefix(x: np.ndarray, bits: int, length: int) -> np.ndarray:
 
 @dataclass
 class Bloom:
+    """Bloom filter with packed bits."""
+
     m: int
     h: int
-    set_bits: np.ndarray = field(repr=False)
+    data: np.ndarray = field(repr=False)
 
     @staticmethod
     def of(values: np.ndarray, m: int) -> Bloom:
         values = np.unique(values)
         m = max(int(m), 1)
-        h = num_hashes(m, len(values))
-        bits = np.zeros(m, bool)
-        bits[bloom_positions_numpy(values, m, h).ravel()] = True
-        return Bloom(m, h, bits)
+        h, bits = num_hashes(m, len(values)), np.zeros(m, bool)
+        first, step = hash_pair(values, m)
+        for i in range(h):
+            bits[(first + i * step) % m] = True
+        return Bloom(m, h, np.packbits(bits))
+
+    @staticmethod
+    def read(m: int, h: int, data: bytes) -> Bloom:
+        return Bloom(m, h, np.frombuffer(data, np.uint8))
+
+    def packed(self) -> bytes:
+        return self.data.tobytes()
+
+    def test(self, values: np.ndarray) -> np.ndarray:
+        out = np.zeros(len(values), bool)
+        first, step = hash_pair(values, self.m)
+        live = np.arange(len(values))
+        for i in range(self.h):
+            at = (first[live] + i * step[live]) % self.m
+            live = live[(self.data[at >> 3] >> (7 - (at & 7)).astype(np.uint8)) & 1 == 1]
+        out[live] = True
+        return out
+
+
+@dataclass
+class BlockedBloom:
+    """Bloom filter in blocks of 512 bits: all bits of an element lie in one cache line."""
+
+    m: int
+    h: int
+    data: np.ndarray = field(repr=False)
+
+    @staticmethod
+    def _places(values: np.ndarray, m: int, h: int) -> list[np.ndarray]:
+        x = mix64(values)
+        block = (x >> np.uint64(33)).astype(np.int64) % max(1, m // 512) * 512
+        a, b = (x & np.uint64(511)).astype(np.int64), ((x >> np.uint64(9)) & np.uint64(511)).astype(np.int64) | 1
+        return [block + (a + i * b) % 512 for i in range(h)]
+
+    @staticmethod
+    def of(values: np.ndarray, m: int) -> BlockedBloom:
+        values = np.unique(values)
+        m = max(512, int(m) // 512 * 512)
+        h, bits = num_hashes(m, len(values)), np.zeros(m, bool)
+        for at in BlockedBloom._places(values, m, h):
+            bits[at] = True
+        return BlockedBloom(m, h, bits)
 
     def test(self, values: np.ndarray) -> np.ndarray:
-        return self.set_bits[bloom_positions_numpy(values, self.m, self.h)].all(axis=0) if len(values) else np.zeros(0, bool)
+        return np.logical_and.reduce([self.data[at] for at in self._places(values, self.m, self.h)])
+
+
+@dataclass
+class XorFilter:
+    """Three-way xor filter: an element's fingerprint is the xor of one slot in each third of the table."""
+
+    bits: int
+    seed: int
+    slots: np.ndarray = field(repr=False)
+
+    @property
+    def m(self) -> int:
+        return self.bits * len(self.slots)
+
+    @staticmethod
+    def _places(values: np.ndarray, seed: int, third: int) -> tuple[np.ndarray, np.ndarray]:
+        x = mix64(values, seed)
+        at = [(mix64(x.view(np.int64), 7 * i + 1) >> np.uint64(32)) * np.uint64(third) >> np.uint64(32) for i in range(3)]
+        return np.stack([a.astype(np.int64) + i * third for i, a in enumerate(at)]), x
+
+    @staticmethod
+    def of(values: np.ndarray, m: int) -> XorFilter:
+        """Of ``m`` bits at most; peels slots that one element has left, layer by layer."""
+        values = np.unique(values)
+        third = max(2, int(math.ceil((1.23 * len(values) + 32) / 3)))
+        bits = max(1, min(32, int(m) // (3 * third)))
+        for seed in range(64):
+            at, x = XorFilter._places(values, seed, third)
+            mark = (x & np.uint64((1 << bits) - 1)).astype(np.int64)
+            left, layers = np.ones(len(values), bool), []
+            while left.any():
+                use = np.bincount(at[:, left].ravel(), minlength=3 * third)
+                lone = use[at] == 1
+                pick = left & lone.any(axis=0)
+                if not pick.any():
+                    break
+                rows = np.flatnonzero(pick)
+                layers.append((rows, at[lone[:, rows].argmax(axis=0), rows]))
+                left[rows] = False
+            if left.any():
+                continue
+            slots = np.zeros(3 * third, np.int64)
+            for rows, own in layers[::-1]:
+                slots[own] = 0
+                slots[own] = mark[rows] ^ np.bitwise_xor.reduce(slots[at[:, rows]], axis=0)
+            return XorFilter(bits, seed, slots)
+        raise RuntimeError("no seed peels the table")
+
+    def test(self, values: np.ndarray) -> np.ndarray:
+        at, x = self._places(values, self.seed, len(self.slots) // 3)
+        return np.bitwise_xor.reduce(self.slots[at], axis=0) == (x & np.uint64((1 << self.bits) - 1)).astype(np.int64)
+
+
+#: Kinds that can be built, all with ``of(values, m)`` and ``test(values)``.
+BUILDERS = {"bloom": Bloom, "blocked_bloom": BlockedBloom, "xor": XorFilter}
+
+
+@dataclass
+class CountingBloom:
+    """Counters of a few bits in place of bits; a counter at its largest value stays there, so counts are upper bounds."""
+
+    h: int
+    top: int
+    counters: np.ndarray = field(repr=False)
+
+    @staticmethod
+    def of(prefixes: np.ndarray, m: int, counter_bits: int = 4) -> CountingBloom:
+        """Of all prefixes with their repeats, in ``m`` bits."""
+        slots, top = max(1, int(m) // counter_bits), (1 << counter_bits) - 1
+        distinct, n = np.unique(prefixes, return_counts=True)
+        h = num_hashes(slots, len(distinct))
+        counters, (first, step) = np.zeros(slots, np.int64), hash_pair(distinct, slots)
+        for i in range(h):
+            np.add.at(counters, (first + i * step) % slots, n)
+        return CountingBloom(h, top, np.minimum(counters, top))
+
+    def count(self, prefixes: np.ndarray) -> np.ndarray:
+        """At least the number of keys under each prefix, unless a counter is full (``top``)."""
+        first, step = hash_pair(prefixes, len(self.counters))
+        return np.min([self.counters[(first + i * step) % len(self.counters)] for i in range(self.h)], axis=0)
+
+    def range_count(self, first: int, last: int) -> int:
+        """Upper bound of the keys under the prefixes first .. last, with ``top`` for a full counter."""
+        return int(self.count(np.arange(first, last + 1)).sum())
 
 
 def spread(first: np.ndarray, count: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -50,7 +184,7 @@ def spread(first: np.ndarray, count: np.ndarray) -> tuple[np.ndarray, np.ndarray
     return owner, np.arange(len(owner)) - np.repeat(np.cumsum(count) - count, count) + first[owner]
 
 
-def probe_levels(blooms: list[Bloom], lengths: list[int], bits: int, lo: np.ndarray, hi: np.ndarray, cap: int = PROBE_CAP) -> tuple[np.ndarray, np.ndarray]:
+def probe_levels(blooms: list, lengths: list[int], bits: int, lo: np.ndarray, hi: np.ndarray, cap: int = PROBE_CAP) -> tuple[np.ndarray, np.ndarray]:
     """Whether each query may hold a key, and the Bloom probes made; regions that say yes are expanded one level down.
 
     A query that would need more than ``cap`` probes at a level is answered yes, which is never wrong.
@@ -78,7 +212,45 @@ def probe_levels(blooms: list[Bloom], lengths: list[int], bits: int, lo: np.ndar
     return maybe, probes
 
 
-def probe_hybrid(trie: np.ndarray, depth: int, bloom: Bloom | None, length: int, bits: int, lo: np.ndarray, hi: np.ndarray, cap: int = PROBE_CAP) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+def probe_dyadic(blooms: list, bits: int, lo: np.ndarray, hi: np.ndarray, cap: int = DYADIC_CAP) -> tuple[np.ndarray, np.ndarray]:
+    """Hierarchical filter over the deepest levels, the last of all bits: maybe and probes.
+
+    A query is the union of its dyadic blocks; each is asked at its own level, a yes at its two halves, down to single
+    keys, until one key says yes. A block above the first stored level counts as yes and goes to its halves.
+    Queries are taken together, level by level; blocks of a level above hand their halves down. A query with more than
+    ``cap`` open blocks at one level is answered yes, which is never wrong: one of so many leaves says yes anyway.
+    """
+    n, top = len(lo), bits - len(blooms) + 1
+    maybe, probes = np.zeros(n, bool), np.zeros(n, np.int64)
+    low, high = lo.copy(), hi + 1
+    blocks: dict[int, list[tuple[np.ndarray, np.ndarray]]] = {length: [] for length in range(bits + 1)}
+    for length in range(bits, -1, -1):  # canonical blocks: an odd left end and an odd right end leave one each
+        live = np.flatnonzero(low < high)
+        left = live[(low[live] & 1 == 1) | (length == 0)]
+        blocks[length].append((left, low[left]))
+        low[left] += 1
+        right = live[(high[live] & 1 == 1) & (low[live] < high[live])]
+        blocks[length].append((right, high[right] - 1))
+        high[right] -= 1
+        low, high = low >> 1, high >> 1
+    owner, block = np.zeros(0, np.int64), np.zeros(0, np.int64)
+    for length in range(bits + 1):
+        fresh = [(q[~maybe[q]], b[~maybe[q]]) for q, b in blocks[length]]
+        owner, block = (np.concatenate([x, *(b[i] for b in fresh)]) for i, x in ((0, owner), (1, block)))
+        if length >= top and len(owner):
+            np.add.at(probes, owner, 1)
+            yes = blooms[length - top].test(block)
+            owner, block = owner[yes], block[yes]
+        if length < bits and len(owner):
+            maybe |= np.bincount(owner, minlength=n) > cap
+            live = ~maybe[owner]
+            owner, block = owner[live], block[live]
+            owner, block = np.repeat(owner, 2), np.stack([block << 1, (block << 1) | 1], axis=1).ravel()
+    maybe[owner] = True
+    return maybe, probes
+
+
+def probe_hybrid(trie: np.ndarray, depth: int, bloom, length: int, bits: int, lo: np.ndarray, hi: np.ndarray, cap: int = PROBE_CAP) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """maybe, trie visits, Bloom probes. ``trie`` holds the sorted prefixes of ``depth`` bits.
 
     A prefix strictly between the ends lies inside the query and proves a key.
@@ -108,27 +280,68 @@ def probe_hybrid(trie: np.ndarray, depth: int, bloom: Bloom | None, length: int,
 
 def unique_prefixes(codes: np.ndarray, bits: int, suffix: int = 0) -> tuple[np.ndarray, np.ndarray]:
     """Minimal distinguishing prefixes in whole bytes, with ``suffix`` further bits: prefix and length of each sorted key."""
-    lcp = np.array([bits - int(a ^ b).bit_length() for a, b in zip(codes[:-1].tolist(), codes[1:].tolist(), strict=True)], np.int64)
+    lcp = bits - bit_length_numpy(codes[1:] ^ codes[:-1])
     own = np.maximum(np.r_[-1, lcp], np.r_[lcp, -1])
     length = np.minimum(bits, 8 * (np.maximum(own, 0) // 8 + 1) + suffix)
     return codes >> (bits - length), length
 
 
 def unique_prefix_bits(prefix: np.ndarray, length: np.ndarray, suffix_bits: int) -> int:
-    """10 bits for each distinct label of a byte level (sparse form) and the suffixes."""
+    """10 bits for each distinct label of a byte level (sparse form) and the suffixes; prefixes are those of sorted keys."""
     total = 0
     for level in range(8, int(length.max(initial=0)) + 8, 8):
         reach = length >= level - 7
         cut = np.minimum(length[reach], level)
-        total += 10 * len(np.unique(np.stack([prefix[reach] >> (length[reach] - cut), cut]), axis=1).T)
+        own = prefix[reach] >> (length[reach] - cut)
+        total += 10 * int(len(own) and 1 + ((own[1:] != own[:-1]) | (cut[1:] != cut[:-1])).sum())
     return total + suffix_bits * len(prefix)
 
 
+def probe_unique(low: np.ndarray, high: np.ndarray, marks: np.ndarray | None, hash_bits: int, lo: np.ndarray, hi: np.ndarray) -> np.ndarray:
+    """Whether some prefix region meets a query; of a point also the key's hash bits must agree."""
+    at = np.searchsorted(high, lo)
+    inside = np.minimum(at, len(high) - 1)
+    maybe = (at < len(high)) & (low[inside] <= hi)
+    if marks is not None:
+        maybe &= (lo != hi) | (mix_numpy(103, lo) % (1 << hash_bits) == marks[inside])
+    return maybe
+
+
+def best_suffix(codes: np.ndarray, bits: int, budget: int, lo: np.ndarray, hi: np.ndarray, most: int = 8) -> tuple[int, int, float] | None:
+    """(real, hashed, rate) of the suffix bits with the lowest rate on the sample's empty queries within the budget.
+
+    None if the budget does not hold the bare trie: a filter of unique prefixes has a least size that no tuning lowers.
+    """
+    at = np.searchsorted(codes, lo)
+    empty = (at == len(codes)) | (codes[np.minimum(at, len(codes) - 1)] > hi)
+    lo, hi, found = lo[empty], hi[empty], None
+    base, base_length = unique_prefixes(codes, bits)
+    spare = (budget - unique_prefix_bits(base, base_length, 0)) // max(1, len(codes))
+    if spare < 0:
+        return None
+    for real in range(min(most, spare) + 1):
+        prefix, length = unique_prefixes(codes, bits, real)
+        low, high = prefix << (bits - length), ((prefix + 1) << (bits - length)) - 1
+        for hashed in {0, min(most, spare - real)}:
+            marks = mix_numpy(103, codes) % (1 << hashed) if hashed else None
+            rate = float(probe_unique(low, high, marks, hashed, lo, hi).mean()) if len(lo) else 0.0
+            if found is None or (rate, real + hashed) < (found[2], found[0] + found[1]):
+                found = (real, hashed, rate)
+    return found
+
+
+def minimum_bits(codes: np.ndarray, bits: int) -> float:
+    """Least bits a key of a filter of unique prefixes."""
+    return unique_prefix_bits(*unique_prefixes(codes, bits), 0) / max(1, len(codes))
+
+
 def build(keys: DataFrame, bits: int, designs: DataFrame) -> DataFrame:
     """Filters of all runs. ``designs``: run_id, kind, lengths, depth, m (bits a level), aux (suffix bits, hash bits).
 
-    Kinds: ``levels`` (single, dual, hierarchical, whole key), ``hybrid``, ``unique_prefix``.
+    Kinds: ``levels`` (single, dual, whole key), ``dyadic`` (hierarchical), ``hybrid``, ``unique_prefix``. A run without
+    a design gets no filter, so its queries stay unanswered; ``store.survivors`` lets such runs through.
     """
+    from rangegate.operators import trie as tries
 
     def run(key, left: pa.Table, right: pa.Table) -> pa.Table:
         rows = []
@@ -137,18 +350,36 @@ def build(keys: DataFrame, bits: int, designs: DataFrame) -> DataFrame:
             blooms = [Bloom.of(_prefix(codes, bits, n), m) for n, m in zip(d["lengths"], d["m"], strict=True)]
             trie, aux, size = b"", b"", sum(b.m for b in blooms)
             if d["kind"] == "hybrid" and d["depth"]:
-                trie = np.unique(_prefix(codes, bits, d["depth"])).astype("<i8").tobytes()
+                trie = tries.encode_tails(np.unique(_prefix(codes, bits, d["depth"])), d["depth"], 0)
+                size += tries.stored_bits(trie)
             if d["kind"] == "unique_prefix":
                 real, hashed = d["aux"]
                 prefix, length = unique_prefixes(codes, bits, real)
                 size = unique_prefix_bits(*unique_prefixes(codes, bits), real + hashed)
                 trie = (prefix << (bits - length)).astype("<i8").tobytes() + (((prefix + 1) << (bits - length)) - 1).astype("<i8").tobytes()
                 aux = (mix_numpy(103, codes) % (1 << hashed)).astype("<i8").tobytes() if hashed else b""
-            rows.append({"run_id": d["run_id"], "kind": d["kind"], "lengths": d["lengths"], "depth": d["depth"], "m": [b.m for b in blooms], "h": [b.h for b in blooms] or d["aux"], "words": [np.packbits(b.set_bits).tobytes() for b in blooms], "trie": trie, "aux": aux, "n_keys": len(codes), "bits": size + d["trie_bits"]})
-        kinds = [("run_id", pa.int64()), ("kind", pa.string()), ("lengths", pa.list_(pa.int32())), ("depth", pa.int32()), ("m", pa.list_(pa.int64())), ("h", pa.list_(pa.int32())), ("words", pa.list_(pa.binary())), ("trie", pa.binary()), ("aux", pa.binary()), ("n_keys", pa.int64()), ("bits", pa.int64())]
-        return pa.Table.from_pylist(rows, pa.schema(kinds))
+            rows.append({"run_id": d["run_id"], "kind": d["kind"], "lengths": d["lengths"], "depth": d["depth"], "m": [b.m for b in blooms], "h": [b.h for b in blooms] or d["aux"], "words": [b.packed() for b in blooms], "trie": trie, "aux": aux, "n_keys": len(codes), "bits": size})
+        return pa.Table.from_pylist(rows, pa.schema(FILTER_ARROW))
+
+    return keys.select("run_id", "code").groupBy("run_id").cogroup(designs.select(*[F.col(c).alias(c) for c in designs.columns]).groupBy("run_id")).applyInArrow(run, FILTER)
+
+
+def answer(f: dict, bits: int, lo: np.ndarray, hi: np.ndarray, cap: int = PROBE_CAP) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """maybe, trie visits and Bloom probes of one filter row."""
+    from rangegate.operators import trie as tries
 
-    return keys.groupBy("run_id").cogroup(designs.groupBy("run_id")).applyInArrow(run, FILTER)
+    blooms = [Bloom.read(m, h, w) for m, h, w in zip(f["m"], f["h"], f["words"], strict=False)]
+    none = np.zeros(len(lo), np.int64)
+    if f["kind"] == "dyadic":
+        maybe, probes = probe_dyadic(blooms, bits, lo, hi)
+        return maybe, none, probes
+    if f["kind"] == "levels" or f["kind"] == "hybrid" and not f["depth"]:
+        maybe, probes = probe_levels(blooms, f["lengths"], bits, lo, hi, cap)
+        return maybe, none, probes
+    if f["kind"] == "hybrid":
+        return probe_hybrid(tries.decode_tails(f["trie"]), f["depth"], blooms[0] if blooms else None, f["lengths"][0] if blooms else 0, bits, lo, hi, cap)
+    low, high = np.frombuffer(f["trie"], "<i8").reshape(2, -1)
+    return probe_unique(low, high, np.frombuffer(f["aux"], "<i8") if f["aux"] else None, f["h"][1], lo, hi), none + 1, none
 
 
 def probe(filters: DataFrame, queries: DataFrame, bits: int, cap: int = PROBE_CAP) -> DataFrame:
@@ -158,48 +389,58 @@ def probe(filters: DataFrame, queries: DataFrame, bits: int, cap: int = PROBE_CA
         out = []
         lo, hi = right.column("lo").to_numpy(), right.column("hi").to_numpy()
         for f in left.to_pylist() if len(lo) else []:
-            blooms = [Bloom(m, h, np.unpackbits(np.frombuffer(w, np.uint8))[:m].astype(bool)) for m, h, w in zip(f["m"], f["h"], f["words"], strict=False)]
-            visits = np.zeros(len(lo), np.int64)
-            if f["kind"] == "levels" or f["kind"] == "hybrid" and not f["depth"]:
-                maybe, probes = probe_levels(blooms, f["lengths"], bits, lo, hi, cap)
-            elif f["kind"] == "hybrid":
-                maybe, visits, probes = probe_hybrid(np.frombuffer(f["trie"], "<i8"), f["depth"], blooms[0] if blooms else None, f["lengths"][0] if blooms else 0, bits, lo, hi, cap)
-            else:
-                low, high = np.frombuffer(f["trie"], "<i8").reshape(2, -1)
-                at = np.searchsorted(high, lo)
-                inside = np.minimum(at, len(high) - 1)
-                maybe, probes, visits = (at < len(high)) & (low[inside] <= hi), np.zeros(len(lo), np.int64), visits + 1
-                if f["aux"]:
-                    own = np.frombuffer(f["aux"], "<i8")
-                    maybe &= (lo != hi) | (mix_numpy(103, lo) % (1 << f["h"][1]) == own[inside])
+            maybe, visits, probes = answer(f, bits, lo, hi, cap)
             out.append(pa.table({"qid": right.column("qid"), "run_id": right.column("run_id"), "maybe": pa.array(maybe), "n_trie": pa.array(visits), "n_bloom": pa.array(probes)}))
         empty = pa.table({"qid": pa.array([], pa.int64()), "run_id": pa.array([], pa.int64()), "maybe": pa.array([], pa.bool_()), "n_trie": pa.array([], pa.int64()), "n_bloom": pa.array([], pa.int64())})
         return pa.concat_tables(out).combine_chunks() if out else empty
 
-    return filters.groupBy("run_id").cogroup(queries.select("run_id", "qid", "lo", "hi").groupBy("run_id")).applyInArrow(run, "qid long, run_id long, maybe boolean, n_trie long, n_bloom long")
+    given = filters.select("run_id", "kind", "lengths", "depth", "m", "h", "words", "trie", "aux")
+    return given.groupBy("run_id").cogroup(queries.select(*[F.col(c).alias(c) for c in ("run_id", "qid", "lo", "hi")]).groupBy("run_id")).applyInArrow(run, "qid long, run_id long, maybe boolean, n_trie long, n_bloom long")
 
 
-def level_design(runs: DataFrame, lengths: list[int], shares: list[float]) -> DataFrame:
+def _design(runs: DataFrame, kind: str, lengths, m, depth=0, aux: tuple[int, int] = (0, 0)) -> DataFrame:
+    as_column = lambda x: F.lit(x) if isinstance(x, int) else x
+    return runs.select("run_id", F.lit(kind).alias("kind"), lengths.cast("array<int>").alias("lengths"), as_column(depth).cast("int").alias("depth"), m.cast("array<long>").alias("m"), F.array(*[F.lit(a) for a in aux]).alias("aux"))
+
+
+def level_design(runs: DataFrame, lengths: list[int], shares: list[float], kind: str = "levels") -> DataFrame:
     """Designs of Bloom levels from ``runs(run_id, m)``: each level gets its share of the memory."""
-    m = F.array(*[F.floor(F.col("m") * s).cast("long") for s in shares])
-    return runs.select("run_id", F.lit("levels").alias("kind"), F.array(*[F.lit(x) for x in lengths]).alias("lengths"), F.lit(0).alias("depth"), m.alias("m"), F.array(F.lit(0), F.lit(0)).alias("aux"), F.lit(0).cast("long").alias("trie_bits"))
+    return _design(runs, kind, F.array(*[F.lit(x) for x in lengths]), F.array(*[F.floor(F.col("m") * s) for s in shares]))
 
 
-def hybrid_design(chosen: DataFrame, memory: DataFrame) -> DataFrame:
-    """Designs from ``choose_design``; the trie takes what the Bloom part leaves."""
-    rows = chosen.join(memory, "run_id")
-    no_bloom = F.col("l2") == 0
-    return rows.select("run_id", F.lit("hybrid").alias("kind"), F.when(no_bloom, F.array().cast("array<int>")).otherwise(F.array("l2")).alias("lengths"), F.col("l1").alias("depth"), F.when(no_bloom, F.array().cast("array<long>")).otherwise(F.array("bloom")).alias("m"), F.array(F.lit(0), F.lit(0)).alias("aux"), F.when(no_bloom, F.col("m")).otherwise(F.col("m") - F.col("bloom")).alias("trie_bits"))
+def hybrid_design(chosen: DataFrame, memory: DataFrame, bits: int) -> DataFrame:
+    """Designs from ``choose_design``; the trie takes what the Bloom part leaves. A run nothing was chosen for gets
+    one Bloom filter of whole keys, as it has no empty sample to tune on.
+    """
+    rows = memory.join(chosen.select("run_id", "l1", "l2", "bloom"), "run_id", "left")
+    no_bloom, none = F.coalesce(F.col("l2") == 0, F.lit(False)), F.array()
+    return _design(rows, "hybrid", F.when(no_bloom, none.cast("array<int>")).otherwise(F.array(F.coalesce("l2", F.lit(bits)))), F.when(no_bloom, none.cast("array<long>")).otherwise(F.array(F.coalesce("bloom", "m"))), F.coalesce("l1", F.lit(0)))
+
+
+def dual_design(chosen: DataFrame, memory: DataFrame) -> DataFrame:
+    """Designs from the best row of ``tune_dual`` (run_id, l1, l2, split)."""
+    rows, first = chosen.join(memory, "run_id"), F.floor(F.col("m") * F.col("split"))
+    return _design(rows, "levels", F.when(F.col("l1") == 0, F.array("l2")).otherwise(F.array("l1", "l2")), F.when(F.col("l1") == 0, F.array("m")).otherwise(F.array(first, F.col("m") - first)))
 
 
 def unique_prefix_design(runs: DataFrame, real: int = 0, hashed: int = 0) -> DataFrame:
-    return runs.select("run_id", F.lit("unique_prefix").alias("kind"), F.array().cast("array<int>").alias("lengths"), F.lit(0).alias("depth"), F.array().cast("array<long>").alias("m"), F.array(F.lit(real), F.lit(hashed)).alias("aux"), F.lit(0).cast("long").alias("trie_bits"))
+    return _design(runs, "unique_prefix", F.array(), F.array(), aux=(real, hashed))
+
 
+def dyadic_levels(widths: np.ndarray, bits: int, m: int, alloc: str = "last") -> tuple[list[int], list[float]]:
+    """Levels of a hierarchical filter for queries of these widths, and their shares of the memory.
 
-def hierarchical_levels(bits: int, memory_bits: int, n: int, alloc: str = "last", n_levels: int = 4) -> tuple[list[int], list[float]]:
-    """Lengths and shares: the deepest ``n_levels`` levels, by half to the last (``last``) or alike (``equal``)."""
-    lengths = list(range(bits - n_levels + 1, bits + 1))
+    Levels reach up to the largest block a query can hold. ``last`` halves the memory from the last level up, ``equal``
+    shares it alike, ``sampled`` gives each level what its share of the sample's blocks asks for, and half to the last.
+    """
+    count = min(bits, max(1, int(bit_length_numpy(np.maximum(widths, 1)).max(initial=1))))
+    lengths = list(range(bits - count + 1, bits + 1))
     if alloc == "equal":
-        return lengths, [1 / n_levels] * n_levels
-    weights = [2.0**i for i in range(n_levels)]
+        return lengths, [1 / count] * count
+    if alloc == "sampled" and len(widths) and count > 1:
+        sizes = bit_length_numpy(np.maximum(widths, 1))
+        asked = np.array([float((sizes >= bits - length + 1).sum()) for length in lengths])
+        weights = asked[:-1] * 0.5 ** (np.arange(count - 1, 0, -1) / 2)
+        return lengths, [*(0.5 * weights / weights.sum()).tolist(), 0.5]
+    weights = [2.0**i for i in range(count)]
     return lengths, [w / sum(weights) for w in weights]

@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import math
 
+import pandas as pd
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
@@ -48,7 +49,9 @@ def fpr_dual(space: KeySpace, l1: Column, l2: Column, p1: Column, p2: Column, fo
     """Two Bloom filters: every first-level region that says yes is expanded at the second length.
 
     Regions fully inside an empty query hold no key, so their number of false yes answers is binomial and the sum over
-    it collapses to a power. ``printed`` adds what must be multiplied and is clipped; it is kept to compare only.
+    it collapses to a power; ``sum`` adds the terms one by one and serves to verify that. ``printed`` is the published
+    form as it stands, with sums where chances multiply and without the negatives of the first filter, clipped to 0 .. 1;
+    it is kept to compare only.
     """
     e = end_regions(space, l1, l2)
     d = (l2 - l1).cast("int")
@@ -62,7 +65,16 @@ def fpr_dual(space: KeySpace, l1: Column, l2: Column, p1: Column, p2: Column, fo
     neg_l = F.when(cut_l, end(e["hl"], e["nl"])).otherwise(1.0)
     neg_r = F.when(cut_r, end(e["hr"], e["nr"])).otherwise(1.0)
     inner = 1 - one_minus_pow(p1 * one_minus_pow(p2, size), full)
-    total = 1 - neg_l * neg_r * inner if form == "product" else F.least(F.lit(1.0), F.greatest(F.lit(0.0), 1 - neg_l - neg_r - inner))
+    if form == "sum":
+        inner = _interior(F.greatest(full, F.lit(0)).cast("long"), p1, p2, d)
+    total = 1 - neg_l * neg_r * inner
+    if form == "printed":
+        cut_r = e["nr"] < size
+        once = lambda cut, known, n: F.when(cut, F.when(known, 1.0).otherwise(p1) * keep(n)).otherwise(0.0)
+        regions = space.span("lo", "hi", l1) - F.when(cut_l, 1).otherwise(0) - F.when(cut_r, 1).otherwise(0)
+        inner = 1 - one_minus_pow(p1 * one_minus_pow(p2, size), F.greatest(regions, F.lit(0)))
+        left, right = once(cut_l, e["hl"] & ~one, e["nl"]), once(cut_r, e["hr"] | (one & e["hl"]), e["nr"])
+        total = F.least(F.lit(1.0), F.greatest(F.lit(0.0), 1 - left - right - inner))
     return F.when(F.col("near") >= l2, 1.0).otherwise(total)
 
 
@@ -77,6 +89,14 @@ def interior_sum(n: int, p1: float, p2: float, d: int) -> float:
     return sum(binomial_pmf(n, i, p1) * (1 - p2) ** (i << d) for i in range(n + 1))
 
 
+def _interior(n: Column, p1: Column, p2: Column, d: Column) -> Column:
+    @F.pandas_udf("double")
+    def total(n: pd.Series, p1: pd.Series, p2: pd.Series, d: pd.Series) -> pd.Series:
+        return pd.Series([interior_sum(int(a), b, c, int(e)) for a, b, c, e in zip(n, p1, p2, d, strict=True)])
+
+    return total(n, p1, p2, d)
+
+
 def max_probes(l1: int, l2: int) -> int:
     """Bound on second-level probes of an empty query that meets no key at length l2."""
     return (1 << (l2 - l1 + 1)) - 2

@@ -85,7 +85,7 @@ def tune(profile: DataFrame, counts: DataFrame, space: KeySpace, bpk: float = 10
     return rates.where("l2 = 0") if kind == "trie" else rates
 
 
-def tune_dual(profile: DataFrame, counts: DataFrame, space: KeySpace, bpk: float = 10, splits: tuple = (0.4, 0.5, 0.6), grid: list[int] | None = None) -> DataFrame:
+def tune_dual(profile: DataFrame, counts: DataFrame, space: KeySpace, bpk: float = 10, splits: tuple = (0.4, 0.5, 0.6), grid: list[int] | None = None, form: str = "product") -> DataFrame:
     """run_id, l1, l2, split, exp_fpr: two Bloom filters with shares of the memory.
 
     Without a grid the designs of one filter that has the whole memory are among them, with l1 and split 0.
@@ -100,6 +100,6 @@ def tune_dual(profile: DataFrame, counts: DataFrame, space: KeySpace, bpk: float
     if grid is None:
         designs = designs.unionByName(own.select("run_id", F.lit(0).alias("l1"), F.col("l").alias("l2"), F.lit(0.0).alias("split"), F.lit(1.0).alias("p1"), bloom_fpr(F.col("m"), F.col("n")).alias("p2")))
     rows = profile.where("is_empty").join(F.broadcast(designs), "run_id")
-    two = fpr_dual(space, F.col("l1"), F.col("l2"), F.col("p1"), F.col("p2"))
+    two = fpr_dual(space, F.col("l1"), F.col("l2"), F.col("p1"), F.col("p2"), form)
     rate = F.when(F.col("l1") == 0, fpr_single(F.col("near"), space.span("lo", "hi", F.col("l2")), F.col("l2"), F.col("p2"))).otherwise(two)
     return rows.groupBy("run_id", "l1", "l2", "split").agg(F.round(F.avg(rate), 9).alias("exp_fpr"))

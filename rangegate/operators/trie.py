@@ -1,4 +1,7 @@
-"""Uniform-depth trie of prefixes in level order: bitmaps for the top byte levels, label lists with first-in-node bits below."""
+"""Uniform-depth trie of prefixes in level order: bitmaps for the top byte levels, label lists with first-in-node bits below.
+
+``encode_tails`` ends a branch where one prefix is left of it and keeps the rest of that prefix as raw bits.
+"""
 
 from __future__ import annotations
 
@@ -6,43 +9,53 @@ import numpy as np
 
 from rangegate.operators.search import RANK_OVERHEAD
 
+HEAD = 24
+
 
 def _levels(depth: int) -> list[tuple[int, int]]:
     return [(s, min(s + 8, depth)) for s in range(0, depth, 8)]
 
 
+def _level_body(ends: np.ndarray, width: int, dense: bool) -> bytes:
+    """One level of nodes, ``ends`` being their sorted prefixes."""
+    parents, label = ends >> width, ends & ((1 << width) - 1)
+    first = np.r_[True, parents[1:] != parents[:-1]] if len(ends) else np.zeros(0, bool)
+    if not dense:
+        return np.packbits(first).tobytes() + label.astype(np.uint8).tobytes()
+    bitmap = np.zeros((int(first.sum()), 1 << width), bool)
+    bitmap[np.cumsum(first) - 1, label] = True
+    return np.packbits(bitmap).tobytes()
+
+
+def _read_level(blob: bytes, at: int, nodes: np.ndarray, width: int, count: int, dense: bool) -> tuple[np.ndarray, int]:
+    """Prefixes of a level below ``nodes``, and where its bytes end."""
+    if dense:
+        size = (len(nodes) << width) + 7 >> 3
+        bitmap = np.unpackbits(np.frombuffer(blob, np.uint8, size, at))[: len(nodes) << width].reshape(len(nodes), -1)
+        parent, label = np.nonzero(bitmap)
+    else:
+        size = (count + 7 >> 3) + count
+        parent = np.cumsum(np.unpackbits(np.frombuffer(blob, np.uint8, count + 7 >> 3, at))[:count].astype(np.int64)) - 1
+        label = np.frombuffer(blob, np.uint8, count, at + (count + 7 >> 3)).astype(np.int64)
+    return (nodes[parent] << width) | label, at + size
+
+
 def encode(prefixes: np.ndarray, depth: int, dense_levels: int) -> bytes:
     """Blob of sorted distinct prefixes of ``depth`` bits."""
     out = [np.array([depth, dense_levels, len(prefixes)], "<i8").tobytes()]
     for j, (s, e) in enumerate(_levels(depth)):
         ends = np.unique(prefixes >> (depth - e))
-        parents, label = ends >> (e - s), ends & ((1 << (e - s)) - 1)
-        first = np.r_[True, parents[1:] != parents[:-1]] if len(ends) else np.zeros(0, bool)
-        if j < dense_levels:
-            bitmap = np.zeros((int(first.sum()), 1 << (e - s)), bool)
-            bitmap[np.cumsum(first) - 1, label] = True
-            body = np.packbits(bitmap).tobytes()
-        else:
-            body = np.packbits(first).tobytes() + label.astype(np.uint8).tobytes()
-        out.append(np.array([len(ends)], "<i8").tobytes() + body)
+        out.append(np.array([len(ends)], "<i8").tobytes() + _level_body(ends, e - s, j < dense_levels))
     return b"".join(out)
 
 
 def decode(blob: bytes) -> np.ndarray:
     """The prefixes of a blob."""
     depth, dense_levels, n = np.frombuffer(blob, "<i8", 3).tolist()
-    at, nodes = 24, np.zeros(1 if n else 0, np.int64)
+    at, nodes = HEAD, np.zeros(1 if n else 0, np.int64)
     for j, (s, e) in enumerate(_levels(depth)):
         count, at = int(np.frombuffer(blob, "<i8", 1, at)[0]), at + 8
-        if j < dense_levels:
-            size = (len(nodes) << (e - s)) + 7 >> 3
-            bitmap = np.unpackbits(np.frombuffer(blob, np.uint8, size, at))[: len(nodes) << (e - s)].reshape(len(nodes), -1)
-            parent, label = np.nonzero(bitmap)
-        else:
-            size = (count + 7 >> 3) + count
-            parent = np.cumsum(np.unpackbits(np.frombuffer(blob, np.uint8, count + 7 >> 3, at))[:count].astype(np.int64)) - 1
-            label = np.frombuffer(blob, np.uint8, count, at + (count + 7 >> 3)).astype(np.int64)
-        nodes, at = (nodes[parent] << (e - s)) | label, at + size
+        nodes, at = _read_level(blob, at, nodes, e - s, count, j < dense_levels)
     return nodes
 
 
@@ -53,3 +66,47 @@ def exact_bits(prefixes: np.ndarray, depth: int, dense_levels: int) -> int:
         ends = np.unique(prefixes >> (depth - e))
         total += len(np.unique(ends >> (e - s))) << (e - s) if j < dense_levels else len(ends) * (e - s + 1)
     return int(np.ceil(total * (1 + RANK_OVERHEAD)))
+
+
+def _pack_bits(values: np.ndarray, width: int) -> bytes:
+    return np.packbits((values[:, None] >> np.arange(width - 1, -1, -1)) & 1).tobytes()
+
+
+def _unpack_bits(blob: bytes, at: int, count: int, width: int) -> np.ndarray:
+    bits = np.unpackbits(np.frombuffer(blob, np.uint8, count * width + 7 >> 3, at))[: count * width].reshape(count, width)
+    return bits.astype(np.int64) @ (np.int64(1) << np.arange(width - 1, -1, -1))
+
+
+def encode_tails(prefixes: np.ndarray, depth: int, dense_levels: int) -> bytes:
+    """Blob of sorted distinct prefixes whose single-prefix branches are cut and end in raw bits."""
+    out, live = [np.array([depth, dense_levels, len(prefixes)], "<i8").tobytes()], prefixes
+    for j, (s, e) in enumerate(_levels(depth)):
+        ends, start, times = np.unique(live >> (depth - e), return_index=True, return_counts=True)
+        cut = (times == 1) if e < depth else np.zeros(len(ends), bool)
+        tails = live[start[cut]] & ((1 << (depth - e)) - 1)
+        out.append(np.array([len(ends), len(tails)], "<i8").tobytes() + _level_body(ends, e - s, j < dense_levels))
+        if e < depth:
+            out.append(np.packbits(cut).tobytes() + _pack_bits(tails, depth - e))
+            live = live[np.repeat(~cut, times)]
+    return b"".join(out)
+
+
+def decode_tails(blob: bytes) -> np.ndarray:
+    """The sorted prefixes of a blob with tails."""
+    depth, dense_levels, n = np.frombuffer(blob, "<i8", 3).tolist()
+    at, nodes, found = HEAD, np.zeros(1 if n else 0, np.int64), [np.zeros(0, np.int64)]
+    for j, (s, e) in enumerate(_levels(depth)):
+        (count, cuts), at = np.frombuffer(blob, "<i8", 2, at).tolist(), at + 16
+        nodes, at = _read_level(blob, at, nodes, e - s, count, j < dense_levels)
+        if e < depth:
+            cut = np.unpackbits(np.frombuffer(blob, np.uint8, count + 7 >> 3, at))[:count].astype(bool)
+            at += count + 7 >> 3
+            found.append((nodes[cut] << (depth - e)) | _unpack_bits(blob, at, cuts, depth - e))
+            at += cuts * (depth - e) + 7 >> 3
+            nodes = nodes[~cut]
+    return np.sort(np.concatenate([*found, nodes]))
+
+
+def stored_bits(blob: bytes) -> int:
+    """Bits of a stored trie with the rank directory that a walk over it needs; the header is not counted."""
+    return int(np.ceil(8 * max(0, len(blob) - HEAD) * (1 + RANK_OVERHEAD)))

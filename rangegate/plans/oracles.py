@@ -106,7 +106,7 @@ def bloom(m: str, n: str) -> str:
     return BLOOM.format(m=f"({m})", n=f"({n})", h=h)
 
 
-def evidence(ks: KeySet, where: str = "true") -> str:
+def evidence(ks: KeySet, where: str = "true", binned: bool = True) -> str:
     """CTE ev of (l1, l2, bin, n_queries, avg_probes) from p and dep."""
     k = ks.bits
     return f"""x as (
@@ -118,21 +118,30 @@ def evidence(ks: KeySet, where: str = "true") -> str:
       select l1, l2, case when near >= l2 then -1 else case when hl then nl else 0 end + case when hr then nr else 0 end end as pc from y
       union all select l1, 0, case when near >= l1 then -1 else 0 end from p, dep where is_empty and l1 > 0 and {where.replace('l2', '0')}
     ), ev as materialized (
-      select l1::integer as l1, l2::integer as l2, case when pc <= 0 then pc else length(bin(pc)) end::bigint as bin, count(*) as n_queries, avg(case when pc < 0 then 0 else pc end)::double as avg_probes from c group by all
+      select l1::integer as l1, l2::integer as l2, {"case when pc <= 0 then pc else length(bin(pc)) end" if binned else "pc"}::bigint as bin, count(*) as n_queries, avg(case when pc < 0 then 0 else pc end)::double as avg_probes from c group by all
     )"""
 
 
-def rates() -> str:
+def rates(mode: str = "exact") -> str:
     """CTE fp of (l1, l2, bloom, p, exp_fpr) from ev, n, m, dep."""
+    some = "1 - pow(1 - p, avg_probes)" if mode == "exact" else "least(1.0, p * avg_probes)"
     return f"""siz as (
       select l1, l as l2, m - trie as bloom, {bloom('m - trie', 'n')} as p from dep, n, m where l > l1 and m - trie >= 1 union all select l1, 0, 0, 0.0 from dep where l1 > 0
     ), fp as materialized (
       select ev.l1, ev.l2, any_value(bloom)::bigint as bloom, any_value(p)::double as p,
-        round(sum(n_queries * case when bin = -1 then 1.0 when p >= 1 then (avg_probes > 0)::integer else 1 - pow(1 - p, avg_probes) end) / sum(n_queries), 9) as exp_fpr
+        round(sum(n_queries * case when bin = -1 then 1.0 when p >= 1 then (avg_probes > 0)::integer else {some} end) / sum(n_queries), 9) as exp_fpr
       from ev join siz using (l1, l2) group by ev.l1, ev.l2
     )"""
 
 
-def designs(name: str, kind: str, n: int, bpk: float, where: str = "true") -> str:
+def designs(name: str, kind: str, n: int, bpk: float, where: str = "true", binned: bool = True, mode: str = "exact") -> str:
     ks = SETS[name]
-    return f"with {profile(ks, kind, n)}, {counts(ks)}, {tries(ks, bpk)}, {evidence(ks, where)}, {rates()}"
+    return f"with {profile(ks, kind, n)}, {counts(ks)}, {tries(ks, bpk)}, {evidence(ks, where, binned)}, {rates(mode)}"
+
+
+def dyadic(queries: str, bits: int) -> str:
+    """qid, level, block: aligned blocks inside a query whose parent is not inside."""
+    return f"""select qid, j::integer as level, b as block from (
+      select qid, lo, hi, j, unnest([((lo + (1::bigint << j::integer) - 1) >> j::integer), ((hi + 1) >> j::integer) - 1]) as b from ({queries}), range({bits + 1}) as r(j)
+    ) where b >= 0 and (b << j::integer) >= lo and ((b + 1) << j::integer) - 1 <= hi
+      and not (((b >> 1) << (j + 1)::integer) >= lo and (((b >> 1) + 1) << (j + 1)::integer) - 1 <= hi) group by all"""

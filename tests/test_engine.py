@@ -8,13 +8,17 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
+from rangegate import experiments  # noqa: F401  (registers its queries)
 from rangegate import queries as engine
 from rangegate.functions import amq, keys
 from rangegate.functions.hashes import mix, mix_numpy
 from rangegate.functions.keys import KeySpace
-from rangegate.operators import filters, model, profile, search, workload
+from rangegate.operators import compare, construct, filters, measures, model, profile, search, strings, trie, workload
+from rangegate.sources import store
 
 SF = "/root/testdata/sf0.001"
+K16 = KeySpace(16)
+NEW = ["acc_single_width", "best_dual_ts", "best_hybrid_unbinned", "design_matrix_ts", "points_present", "lsm_seek_val_real", "read_formats", "range_store_scan", "star_after_pruning", "compaction_rebuild", "store_levels", "zorder_boxes", "dyadic_cover_ts", "dyadic_table_function", "dyadic_recursive", "sql_functions", "bloom_aggregate", "word_array_probe", "stream_sample_queue", "stream_probe", "events_session", "u64_edges", "enc_value_double", "false_negatives_hybrid"]
 K12 = KeySpace(12)
 
 
@@ -124,7 +128,7 @@ def test_search_prefers_hybrid_on_split(spark):
     assert n == sorted(n) and n[-1] == kk.count() and all(x <= min(1 << (i + 1), n[-1]) for i, x in enumerate(n))
 
 
-@pytest.mark.parametrize("name", ["n_l_ts", "profile_ts_split", "trie_bits_ts_split", "evidence_hybrid", "best_hybrid_ts_split", "probe_hybrid_ts_uniform", "bloom_words_ts", "closed_seek", "sensor_match", "sample_queue"])
+@pytest.mark.parametrize("name", ["n_l_ts", "profile_ts_split", "trie_bits_ts_split", "evidence_hybrid", "best_hybrid_ts_split", "probe_hybrid_ts_uniform", "bloom_words_ts", "closed_seek", "sensor_match", "sample_queue", *NEW])
 def test_query_equals_oracle(spark, name):
     con = duckdb.connect()
     for t in os.listdir(SF):
@@ -137,8 +141,6 @@ def test_query_equals_oracle(spark, name):
 
 @pytest.mark.parametrize("depth", [5, 8, 13, 20])
 def test_trie_round_trip_and_estimate(depth):
-    from rangegate.operators import trie
-
     prefixes = np.unique(np.random.default_rng(depth).integers(0, 1 << depth, 300))
     n = {l: len(np.unique(prefixes >> (depth - l))) if l else 1 for l in range(depth + 1)}
     for dense in range(-(-depth // 8) + 1):
@@ -149,16 +151,232 @@ def test_trie_round_trip_and_estimate(depth):
 
 def test_filters_follow_a_shift(spark):
     rows = engine.QUERIES["shift_step"](spark, SF).collect()
-    last = {r.refresh: r.fpr for r in rows if r.batch == 3}
-    assert last[True] <= last[False] and all(r.false_negatives == 0 for r in rows)
+    last = {r.filter: r.fpr for r in rows if r.batch == 5}
+    assert last["adaptive"] <= last["frozen"] and last["adaptive"] <= last["hierarchical"] and all(r.false_negatives == 0 for r in rows)
+    assert {r.filter for r in rows} >= {"adaptive", "frozen", "hierarchical"} and all(r.rebuilt > 0 for r in rows)
 
 
 def test_stream_queue_keeps_every_nth(spark, tmp_path):
     from rangegate.streaming import queue
 
-    spark.range(95).selectExpr("1L as store", "id as seq", "id as lo", "id as hi").write.parquet(str(tmp_path / "in"))
+    spark.range(95).selectExpr("1L as store", "id as seq", "id * 2 as lo", "id * 2 + 1 as hi").write.parquet(str(tmp_path / "in"))
     stream = spark.readStream.schema("store long, seq long, lo long, hi long").parquet(str(tmp_path / "in"))
-    query = queue.stream_queue(stream, capacity=5, every=10).writeStream.format("memory").queryName("queue_out").outputMode("update").option("checkpointLocation", str(tmp_path / "state")).trigger(availableNow=True).start()
+    query = queue.stream_queue(stream, capacity=5, every=95 // 9).writeStream.format("memory").queryName("queue_out").outputMode("update").option("checkpointLocation", str(tmp_path / "state")).trigger(availableNow=True).start()
     query.awaitTermination(120)
     row = spark.table("queue_out").first()
-    assert (row.seen, row.size, row.last_seq) == (95, 5, 89)
+    assert (row.seen, row.size, row.last_seq) == (95, 5, 89) and row.lo == [2 * x for x in (49, 59, 69, 79, 89)] and row.hi == [x + 1 for x in row.lo]
+
+
+def one_run(spark, codes, run_id=0):
+    return frame(spark, [(run_id, int(c)) for c in codes], "run_id long, code long")
+
+
+def test_construction_agrees_with_the_dataframe_search(spark):
+    ks = workload.SETS["ts"]
+    kk = workload.keys(spark, SF, "ts").persist()
+    qs = workload.split_queries(spark, kk, ks, 300).persist()
+    p, counts = profile.profile_queries(kk, qs, ks.space).persist(), profile.prefix_counts(kk, ks.space).persist()
+    want = {(r.l1, r.l2): r.exp_fpr for r in search.tune(p, counts, ks.space).collect()}
+    got = {(r.l1, r.l2): r.exp_fpr for r in construct.all_rates(kk, qs, ks.bits, 10).collect()}
+    assert got.keys() == want.keys() and all(abs(got[k] - want[k]) < 2e-9 for k in want)
+    duals = {(r.l1, r.l2, r.split): r.exp_fpr for r in search.tune_dual(p, counts, ks.space, grid=[12, 20, 31]).collect()}
+    rates = {(r.l1, r.l2, r.split): r.exp_fpr for r in construct.all_rates(kk, qs, ks.bits, 10, "dual").collect()}
+    assert all(abs(rates[k] - v) < 2e-9 for k, v in duals.items())
+
+
+def test_search_in_parts_is_the_serial_search(spark):
+    ks = workload.SETS["ts"]
+    kk = workload.keys(spark, SF, "ts").persist()
+    qs = workload.split_queries(spark, kk, ks, 100).persist()
+    codes, (lo, hi) = compare.one_run(kk), compare.bounds(qs)
+    want = {(r[0], r[1]): round(r[5], 9) for r in construct.tune_run(codes, lo, hi, ks.bits, 10)[0]}
+    assert {(r.l1, r.l2): r.exp_fpr for r in compare.design_map(spark, kk, qs, ks.bits, 10).collect()} == want
+
+
+@pytest.mark.parametrize("method", ["lcp", "distinct"])
+def test_prefix_counts_of_many_runs(spark, method):
+    rng = np.random.default_rng(1)
+    rows = [(int(r), int(c)) for r in range(5) for c in rng.integers(0, 1 << 12, 200)]
+    got = {(r.run_id, r.l): r.n for r in profile.prefix_counts(frame(spark, rows, "run_id long, code long").repartition(7), K12, method).collect()}
+    assert got == {(r, l): len({c >> (12 - l) for q, c in rows if q == r}) for r in range(5) for l in range(1, 13)}
+
+
+@pytest.mark.parametrize("strategy", ["broadcast", "asof_join", "union_window"])
+def test_neighbours(spark, strategy):
+    rng = np.random.default_rng(2)
+    runs = {r: np.unique(rng.integers(0, 1 << 12, n)) for r, n in ((0, 40), (3, 1), (7, 300))}
+    kk = frame(spark, [(r, int(c)) for r, cs in runs.items() for c in cs], "run_id long, code long").repartition(5)
+    lo = [0, 5, 4095, *(int(x) for x in runs[7][:20])]
+    qs = frame(spark, [(i, a, a + 3) for i, a in enumerate(lo)], "qid long, lo long, hi long")
+    got = {(r.run_id, r.qid): (r.pred, r.succ) for r in profile.neighbours(kk, qs, strategy).collect()}
+    assert got == {(r, i): (max((int(c) for c in cs if c < a), default=None), min((int(c) for c in cs if c >= a), default=None)) for r, cs in runs.items() for i, a in enumerate(lo)}
+
+
+def test_runs_without_samples_or_filters_lose_nothing(spark):
+    """A run that no empty sample meets gets a default filter, and a run without any filter survives."""
+    rows = frame(spark, [(0, 10), (0, 20), (1, 5000)], "run_id long, code long")
+    qs = frame(spark, [(1, 10, 12), (2, 5000, 5000), (3, 19, 21), (4, 30, 40)], "qid long, lo long, hi long")
+    overlap = store.overlapping(store.catalog(rows), qs, K16)
+    full = frame(spark, [(10, 10), (5000, 5000)], "lo long, hi long")
+    for sample in (full, frame(spark, [], "lo long, hi long")):
+        built = construct.build_run_filters(rows, sample, 16)
+        kept = store.survivors(overlap, filters.probe(built, overlap, 16))
+        assert {r.qid: r.first_key for r in store.closed_seek(rows, kept).collect()} == {1: 10, 2: 5000, 3: 20}
+    lone = store.survivors(overlap, filters.probe(built.where("run_id = 0"), overlap, 16))
+    assert {r.qid: r.first_key for r in store.closed_seek(rows, lone).collect()} == {1: 10, 2: 5000, 3: 20}
+    designs = filters.hybrid_design(search.choose_design(frame(spark, [], "run_id long, l1 int, l2 int, bloom long, p double, exp_fpr double")), frame(spark, [(0, 40), (1, 20)], "run_id long, m long"), 16)
+    assert {r.run_id for r in filters.build(rows, 16, designs).collect()} == {0, 1}
+    nothing = frame(spark, [], "run_id long, code long")
+    assert construct.build_run_filters(nothing, full, 16).count() == 0 and store.closed_seek(nothing, overlap).count() == 0
+
+
+def test_every_kind_keeps_all_keys_at_every_budget(spark):
+    rng = np.random.default_rng(5)
+    codes = np.unique(rng.integers(0, 1 << 30, 2000))
+    lo = np.r_[codes[:300], rng.integers(0, 1 << 30, 300)]
+    hi = np.minimum(lo + rng.integers(0, 5000, len(lo)), (1 << 30) - 1)
+    rows = compare.compare(one_run(spark, codes), {0: (30, (lo[300:], hi[300:]), (lo, hi))}, [6, 10, 18]).collect()
+    assert len(rows) == 3 * len(compare.KINDS) and all(r.false_negatives in (0, None) for r in rows)
+    assert any(r.fpr is None for r in rows if r.filter == "unique_prefix" and r.bpk == 6) and all(r.stored_bpk <= r.bpk * 1.05 + 0.5 for r in rows if r.fpr is not None)
+    best = {(r.bpk, r.filter): r.fpr for r in rows if r.fpr is not None}
+    assert all(best[b, "hybrid"] <= best[b, "single"] + 0.02 for b in (6, 10, 18))
+
+
+def test_dyadic_probe_is_the_descent():
+    rng = np.random.default_rng(4)
+    codes = np.unique(rng.integers(0, 1 << 16, 60))
+    blooms = [filters.Bloom.of(codes >> (16 - x), 400) for x in range(9, 17)]
+    lo = rng.integers(0, 1 << 16, 300)
+    hi = np.minimum(lo + rng.integers(0, 300, 300), (1 << 16) - 1)
+
+    def holds(level, block):
+        if level >= 9 and not blooms[level - 9].test(np.array([block]))[0]:
+            return False
+        return level == 16 or holds(level + 1, 2 * block) or holds(level + 1, 2 * block + 1)
+
+    def cover(a, b, level=0, block=0):
+        first, last = block << (16 - level), ((block + 1) << (16 - level)) - 1
+        if last < a or first > b:
+            return []
+        return [(level, block)] if a <= first and last <= b else cover(a, b, level + 1, 2 * block) + cover(a, b, level + 1, 2 * block + 1)
+
+    maybe, probes = filters.probe_dyadic(blooms, 16, lo, hi)
+    assert [any(holds(*x) for x in cover(int(a), int(b))) for a, b in zip(lo, hi, strict=True)] == maybe.tolist()
+    assert all(m for a, b, m in zip(lo, hi, maybe, strict=True) if ((codes >= a) & (codes <= b)).any()) and (probes > 0).all()
+
+
+@pytest.mark.parametrize("kind", sorted(filters.BUILDERS))
+def test_membership_filters_follow_their_formula(kind):
+    rng = np.random.default_rng(6)
+    values, absent = np.unique(rng.integers(0, 1 << 40, 20_000)), rng.integers(1 << 40, 1 << 41, 60_000)
+    f = filters.BUILDERS[kind].of(values, 10 * len(values))
+    assert f.test(values).all()
+    want = amq.KINDS[kind].fpr(f.m / len(values)) if kind != "xor" else 2.0**-f.bits
+    assert abs(f.test(absent).mean() - want) < 0.004
+
+
+def test_wide_filters_take_the_wide_hash():
+    from rangegate.functions.hashes import P, hash_pair
+
+    first, step = hash_pair(np.arange(100_000), 8 * P)
+    assert first.max() > 7 * P and (step >= 1).all() and step.max() < 8 * P
+
+
+def test_counts_of_a_counting_filter_are_upper_bounds():
+    rng = np.random.default_rng(8)
+    prefixes = rng.integers(0, 400, 2000)
+    f = filters.CountingBloom.of(prefixes, 16_000, 4)
+    truth = np.bincount(prefixes, minlength=400)
+    got = f.count(np.arange(400))
+    assert (got >= np.minimum(truth, f.top)).all() and got.max() <= f.top == 15 and f.range_count(10, 12) >= np.minimum(truth[10:13], 15).sum()
+
+
+@pytest.mark.parametrize("depth", [3, 8, 13, 24, 40])
+def test_trie_with_tails(depth):
+    prefixes = np.unique(np.random.default_rng(depth).integers(0, 1 << depth, 500))
+    for dense in (0, 1):
+        blob = trie.encode_tails(prefixes, depth, dense)
+        assert (trie.decode_tails(blob) == prefixes).all()
+    if depth == 40:
+        assert trie.stored_bits(trie.encode_tails(prefixes, depth, 0)) < trie.exact_bits(prefixes, depth, 0) + 2000
+
+
+def test_printed_and_summed_forms_of_the_dual_rate(spark):
+    rows = {r.form: r.exp_fpr for r in engine.QUERIES["dual_forms"](spark, SF).collect()}
+    assert abs(rows["sum"] - rows["product"]) < 2e-9 and 0 <= rows["printed"] <= 1 and abs(rows["printed"] - rows["product"]) > 1e-6
+
+
+def test_rates_of_real_filters_are_the_expected_ones(spark):
+    ks = workload.SETS["n62"]
+    kk = workload.keys(spark, SF, "n62").persist()
+    rows = compare.design_map(spark, kk, workload.split_queries(spark, kk, ks, 300), 62, 10, "single").persist()
+    error = compare.model_error(rows).first()
+    assert error.designs == 62 and error.mean_gap < 0.02 and error.regret < 0.05 and error.correlation > 0.99
+
+
+def test_reads_touch_surviving_folders_only(spark):
+    path, overlap, answers, _ = engine.written(spark, SF, "ts", "uniform")
+    kept = store.survivors(overlap, answers)
+    plan = store.read_runs(spark, path, kept)._jdf.queryExecution().executedPlan().toString()
+    assert "dynamicpruning" in plan.lower()
+    sizes = store.file_bytes(spark, path).collect()
+    assert len(sizes) >= 1 and all(r.bytes > 0 for r in sizes)
+    costs = measures.io_costs(overlap, kept, store.file_bytes(spark, path)).first()
+    assert costs.bytes_read + costs.bytes_avoided == costs.bytes_overlapping and costs.reads <= costs.overlaps
+
+
+def test_doubles_keep_their_order(spark):
+    values = [float("-inf"), -1e300, -1.5, -5e-324, -0.0, 5e-324, 2.5, 1e300, float("inf")]
+    codes = [r.c for r in frame(spark, [(i, v) for i, v in enumerate(values)], "i int, v double").select("i", keys.double_code("v").alias("c")).orderBy("i").collect()]
+    assert codes == sorted(codes) and len(set(codes)) == len(codes)
+
+
+def string_run(n=300, width=12, seed=0):
+    rng = np.random.default_rng(seed)
+    held = np.unique(strings.padded([bytes(rng.integers(97, 101, int(rng.integers(1, width + 1)), dtype=np.uint8)) for _ in range(n)], width))
+    low = [int(x) for x in rng.integers(0, len(held), 200)]
+    numbers = strings.numbers(held)
+    top = (1 << (8 * width)) - 1
+    lo = [min(top, numbers[i] + int(rng.integers(0, 1 << 30))) for i in low]
+    hi = [min(top, a + int(rng.integers(0, 1 << 34))) for a in lo]
+    return held, *(strings.padded([x.to_bytes(width, "big") for x in xs], width) for xs in (lo, hi))
+
+
+def test_string_filters_lose_no_key():
+    held, lo, hi = string_run()
+    numbers, a, b = (strings.numbers(x) for x in (held, lo, hi))
+    truth = np.array([any(x <= k <= y for k in numbers) for x, y in zip(a, b, strict=True)])
+    for design in ((0, 70, 3000), (12, 0, 0), (16, 70, 3000), (21, 93, 3000)):
+        assert not (truth & ~strings.answer(held, design, lo, hi)).any(), design
+    maybe, bpk = strings.unique_answer(held, lo, hi)
+    assert not (truth & ~maybe).any() and bpk > 0
+
+
+def test_string_evidence_counts_prefixes_and_regions():
+    held, lo, hi = string_run(200, 6, 3)
+    n, numbers = strings.prefix_counts(held), strings.numbers(held)
+    assert n[1:].tolist() == [len({x >> (48 - l) for x in numbers}) for l in range(1, 49)]
+    e = strings.StringEvidence(held, lo, hi, list(range(1, 49)))
+    for l1 in (0, 9, 16, 30):
+        probes = e.probes(l1)
+        held_prefixes = {x >> (48 - l1) for x in numbers}
+        for i, (a, b) in enumerate(zip(e.low, e.high, strict=True)):
+            for j, l2 in enumerate(range(l1 + 1, 49)):
+                ends = {a >> (48 - l1), b >> (48 - l1)} & held_prefixes
+                want = sum(min(b >> (48 - l2), ((p + 1) << (l2 - l1)) - 1) - max(a >> (48 - l2), p << (l2 - l1)) + 1 for p in ends)
+                assert math.isclose(probes[i, j], want, rel_tol=1e-12), (l1, l2)
+
+
+def test_a_short_key_and_its_padded_twin_cannot_be_told_apart():
+    held = np.unique(strings.padded([b"ab", b"zz"], 4))
+    twin = strings.padded([b"ab\0"], 4)
+    assert strings.answer(held, (0, 32, 400), twin, twin).all()
+
+
+def test_string_report(spark):
+    held, lo, hi = string_run()
+    kk = frame(spark, [(0, bytes(x)) for x in held], "run_id long, code binary")
+    qs = frame(spark, [(bytes(a).ljust(12, b"\0"), bytes(b).ljust(12, b"\0")) for a, b in zip(lo, hi, strict=True)], "lo binary, hi binary")
+    rows = {r.kind: r for r in strings.string_report(kk, qs, 12, 14).collect()}
+    assert rows.keys() == {"hybrid", "single", "trie", "unique_prefix"} and all(r.false_negatives == 0 for r in rows.values())
+    assert rows["hybrid"].exp_fpr <= min(rows["single"].exp_fpr, rows["trie"].exp_fpr) + 1e-9 and abs(rows["hybrid"].exp_fpr - rows["hybrid"].obs_fpr) < 0.1
