@@ -74,11 +74,11 @@ def _asked(built: DataFrame, runs: DataFrame, queries: DataFrame, bits: int) ->
     return runs.select("run_id", "code").groupBy("run_id").cogroup(built.select(*[F.col(c).alias(c) for c in built.columns]).groupBy("run_id")).applyInArrow(run, "name string, qid long, maybe boolean, held boolean")
 
 
-def shift_report(spark: SparkSession, keys: DataFrame, ks: KeySet, old: DataFrame, new: DataFrame, batches: int = BATCHES, bpk: float = 10, kind: str = "gradual", capacity: int = 2_000, every: int = 2) -> DataFrame:
+def shift_report(spark: SparkSession, keys: DataFrame, ks: KeySet, old: DataFrame, new: DataFrame, batches: int = BATCHES, bpk: float = 10, kind: str = "gradual", capacity: int = 2_000, every: int = 2, merge_every: int = MERGE_EVERY) -> DataFrame:
     """One row a batch and filter: rate on empty queries, false negatives, filters made, runs let through, seconds.
 
     A third of the keys is there at the start, the others come in equal parts; each batch's inserts make new runs with
-    filters of their own, and every third batch all runs are merged and their filters made again. The loop runs over
+    filters of their own, and every ``merge_every`` batches all runs are merged and their filters made again. The loop runs over
     batches, which are few; each step is two jobs over tables.
     """
     code = F.col("code")
@@ -94,7 +94,7 @@ def shift_report(spark: SparkSession, keys: DataFrame, ks: KeySet, old: DataFram
         if sample is None:  # the queue is seeded with queries of the first kind
             rows = old.where("qid % 3 = 0").orderBy("qid").limit(capacity).toArrow()
             sample = first = (rows.column("lo").to_numpy(), rows.column("hi").to_numpy())
-        merged = batch and batch % MERGE_EVERY == 0
+        merged = batch and batch % merge_every == 0
         stays = dealt.where(f"born <= {batch}" if merged or not batch else f"born = {batch}")
         runs = stays.withColumn("run_id", F.lit(batch << 20) + (F.shiftrightunsigned("code", max(0, ks.bits - 20)) * wide / (1 << 20)).cast("long")).persist()
         built = _built(runs, sample, first, ks.bits, bpk).persist()

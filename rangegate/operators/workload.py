@@ -4,10 +4,11 @@ from __future__ import annotations
 
 from dataclasses import dataclass
 
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from rangegate.functions.hashes import P, mix, wide
+from rangegate.functions.hashes import P, mix, mix_numpy, wide
 from rangegate.functions.keys import KeySpace, cents, composite, timestamp_code
 
 ORIGIN = 1704067200000000  # 2024-01-01 in microseconds
@@ -48,14 +49,28 @@ def keys(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
         out = table(spark, sf_dir, "lineitem").select((F.col("l_orderkey") * 8 + F.col("l_linenumber")).alias("code"))
     elif name == "price":
         out = table(spark, sf_dir, "lineitem").select(cents("l_extendedprice").alias("code"))
-    elif name == "u62":
-        out = spark.range(GENERATED).select(wide(5, 6, F.col("id")).alias("code"))
     else:
-        noise = sum((mix(10 + i, F.col("id")) for i in range(1, 12)), mix(10, F.col("id"))) - F.lit(6 * P)
-        out = spark.range(GENERATED).select((F.lit(1 << 61) + noise * 21474836 + mix(30, F.col("id")) % 21474836).alias("code"))
+        out = generated(spark, name)
     return out.where("code is not null").distinct().select(F.lit(0).cast("long").alias("run_id"), "code")
 
 
+def generated(spark: SparkSession, name: str, n: int = GENERATED) -> DataFrame:
+    """code: n keys of 62 bits, uniform (``u62``) or normal around the middle (``n62``); on Arrow batches, as the sums of
+    a dozen hashes are too long an expression to be compiled.
+    """
+
+    def run(batches):
+        for batch in batches:
+            x = batch.column("id").to_numpy()
+            if name == "u62":
+                code = (mix_numpy(5, x) << 31) | mix_numpy(6, x)
+            else:
+                code = (1 << 61) + (sum(mix_numpy(10 + i, x) for i in range(12)) - 6 * P) * 21474836 + mix_numpy(30, x) % 21474836
+            yield pa.RecordBatch.from_arrays([pa.array(code, pa.int64())], ["code"])
+
+    return spark.range(n).mapInArrow(run, "code long")
+
+
 def uniform_queries(spark: SparkSession, ks: KeySet, n: int, bits: int | None = None) -> DataFrame:
     """qid, lo, hi: left bounds anywhere, widths of 2 to 2^bits."""
     r = 1 << (ks.long if bits is None else bits)
