@@ -4,8 +4,10 @@ Two documents link when the Jaccard similarity of their sets of distinct five-wo
 All links are found; what is pruned is proven not to be one.
 
 * Documents with one shingle set form a node (64-bit hash of the set); only nodes are joined.
-* Shingles have one global order: rare ones by hash, then frequent ones by their estimated count. The counts are of all
-  documents, in a table of fixed width; the order need only be the same everywhere for the result to be exact.
+* Shingles have one global order, by the number of nodes that hold them and then by hash; up to ``frequent`` holders they
+  are rare. Nodes are dealt to blocks by their hash, and ``blockcounts`` answers each block with the totals of its
+  shingles, cut to the bits that tell them apart but for one in 2^``SPARE_BITS``; a total is the same wherever the
+  shingle stands and never too low. A shingle of one node alone is never indexed.
 * A linked pair shares a shingle within both prefixes of length n - ceil(t n) + 1. If a document's prefix holds rare
   shingles only, each is indexed alone. Otherwise the prefix is extended by k - 1, so that a pair shares k shingles in
   it: one rare shingle, indexed alone, or k frequent ones. The frequent shingles fall into k - 1 classes by hash, two of
@@ -20,28 +22,28 @@ All links are found; what is pruned is proven not to be one.
 
 Defined results: null texts and texts without words have no shingles and stand alone; a text of fewer than five words is
 one shingle; a repeated doc_id is one more document; rows with a null doc_id take part, and a class of nothing else has
-a null id; an empty table gives an empty result; other columns are ignored.
+a null id; an empty table gives an empty result; other columns are ignored. ``keep_one`` knows rows by their id and
+the hash of their text: of a class the row with the smallest of both stays, and rows without an id go if one with an id is there.
 """
 
 from __future__ import annotations
 
-import zlib
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark import Broadcast, TaskContext
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from rangegate.llm.blockcounts import cut, key_bits, pack, pack_keys, slices, totals, unpack, unpack_keys
 from rangegate.llm.graph import checkpoints, connected_components, release, stored
-from rangegate.llm.text import Rolling, WordHasher, columns, distinct, documents, mix64, signed, text_bytes
+from rangegate.llm.text import Rolling, WordHasher, blocks_for, columns, distinct, documents, mix64, signed, text_bytes
 
 SHINGLE_WORDS = 5
 PERCENT = 75
-COUNT_SLOTS = 1 << 22
-CHUNKS = 64
+BLOCK_BYTES = 8 << 20
+SPARE_BITS = 8
 PARITY_WORDS = 8
 U64 = np.uint64
 
@@ -65,44 +67,60 @@ def share(n, percent: int):
     return -(-n * percent // 100)
 
 
-def _features(docs: DataFrame, slots: int) -> DataFrame:
-    """Rows of (doc_id, node, n), and for each task rows of (chunk, part, counts) with its share of the shingle counts."""
+def _features(docs: DataFrame) -> DataFrame:
+    """doc_id, own (hash of the text), node, n of every row."""
 
     def run(batches: Iterator) -> Iterator:
-        shingles, seen, counts = Shingles(), set(), np.zeros(slots, np.int32)
-        none = pa.nulls
-        for ids, texts in columns(batches, "doc_id", "text"):
-            nodes, sizes, fresh = [], [], []
-            for s in shingles.each(texts):
-                nodes.append(node_of(s))
-                sizes.append(len(s))
-                if nodes[-1] not in seen:
-                    seen.add(nodes[-1])
-                    fresh.append(s)
-            if fresh:
-                np.add.at(counts, (np.concatenate(fresh) % U64(slots)).astype(np.int64), 1)
-            m = len(ids)
-            yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(nodes, pa.int64()), pa.array(sizes, pa.int32()), none(m, pa.int32()), none(m, pa.int32()), none(m, pa.binary())], ["doc_id", "node", "n", "chunk", "part", "counts"])
-        part, width = TaskContext.get().partitionId() % 256, slots // CHUNKS
-        data = [zlib.compress(counts[c * width : (c + 1) * width].astype(np.int64).tobytes(), 1) for c in range(CHUNKS)]
-        yield pa.RecordBatch.from_arrays([none(CHUNKS, pa.int64()), none(CHUNKS, pa.int64()), none(CHUNKS, pa.int32()), pa.array(range(CHUNKS), pa.int32()), pa.array([part] * CHUNKS, pa.int32()), pa.array(data, pa.binary())], ["doc_id", "node", "n", "chunk", "part", "counts"])
-
-    return text_bytes(docs).mapInArrow(run, "doc_id long, node long, n int, chunk int, part int, counts binary")
-
-
-def _shingle_counts(features: DataFrame, slots: int) -> np.ndarray:
-    """The count table, summed in two levels; its size does not depend on the data."""
-
-    def added(table: pa.Table) -> pa.Table:
-        total = sum(np.frombuffer(zlib.decompress(x), np.int64) for x in table.column("counts").to_pylist())
-        return pa.table({"chunk": table.column("chunk")[:1], "counts": pa.array([zlib.compress(total.tobytes(), 1)], pa.binary())})
-
-    parts = features.where("chunk is not null").select("chunk", "part", "counts")
-    rows = parts.groupBy("chunk", "part").applyInArrow(added, "chunk int, counts binary").groupBy("chunk").applyInArrow(added, "chunk int, counts binary").collect()
-    out = np.zeros((CHUNKS, slots // CHUNKS), np.uint32)
-    for row in rows:
-        out[row.chunk] = np.minimum(np.frombuffer(zlib.decompress(bytes(row.counts)), np.int64), np.iinfo(np.uint32).max)
-    return out.ravel()
+        shingles = Shingles()
+        for ids, own, texts in columns(batches, "doc_id", "own", "text"):
+            found = [(node_of(s), len(s)) for s in shingles.each(texts)]
+            yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(own, pa.int64()), pa.array([f[0] for f in found], pa.int64()), pa.array([f[1] for f in found], pa.int32())], ["doc_id", "own", "node", "n"])
+
+    own = F.xxhash64("text").alias("own")
+    return docs.select("doc_id", own, F.col("text").cast("binary").alias("text")).mapInArrow(run, "doc_id long, own long, node long, n int")
+
+
+def _dealt(docs: DataFrame, blocks: int) -> DataFrame:
+    """blk, node, text: texts by the block of their node; copies of a node go once a task."""
+
+    def run(batches: Iterator) -> Iterator:
+        shingles, seen = Shingles(), set()
+        for _, texts in columns(batches, "doc_id", "text"):
+            out = []
+            for text, s in zip(texts, shingles.each(texts), strict=True):
+                node = node_of(s)
+                if len(s) > 1 and node not in seen:  # a set of one shingle is linked with equal sets only
+                    seen.add(node)
+                    out.append(((node + (1 << 63)) * blocks >> 64, node, text))
+            blk, nodes, kept = zip(*out, strict=True) if out else ((),) * 3
+            yield pa.RecordBatch.from_arrays([pa.array(blk, pa.int32()), pa.array(nodes, pa.int64()), pa.array(kept, pa.binary())], ["blk", "node", "text"])
+
+    return text_bytes(docs).mapInArrow(run, "blk int, node long, text binary")
+
+
+def _block_sets(table: pa.Table) -> tuple[np.ndarray, list[np.ndarray]]:
+    """The distinct nodes of a block and their sets."""
+    _, first = np.unique(table.column("node").to_numpy(), return_index=True)
+    own = table.take(pa.array(first))
+    return own.column("node").to_numpy(), list(Shingles().each(own.column("text").to_pylist()))
+
+
+def _holders(dealt: DataFrame, parts: int, bits: int) -> DataFrame:
+    """blk, part, counts: for the distinct shingles of each block, in their order, how many nodes hold them."""
+
+    def asks(key, table):
+        _, sets = _block_sets(table)
+        distinct_, counts = np.unique(cut(np.concatenate(sets), bits), return_counts=True)
+        rows = [(part, pack_keys(distinct_[a:b], bits), pack(counts[a:b].astype("<u4"))) for part, a, b in slices(distinct_, parts)]
+        part, keys, n = zip(*rows, strict=True)
+        return pa.table({"blk": pa.array([key[0].as_py()] * len(rows), pa.int32()), "part": pa.array(part, pa.int32()), "keys": pa.array(keys, pa.binary()), "n": pa.array(n, pa.binary())})
+
+    def answers(key, table):
+        _, _, found = totals([unpack_keys(x, bits) for x in table.column("keys").to_pylist()], [unpack(x, "<u4") for x in table.column("n").to_pylist()])
+        return pa.table({"blk": table.column("blk"), "part": table.column("part"), "counts": pa.array([pack(np.minimum(x, 0xFFFFFFFF).astype("<u4")) for x in found], pa.binary())})
+
+    sent = dealt.groupBy("blk").applyInArrow(asks, "blk int, part int, keys binary, n binary")
+    return sent.groupBy("part").applyInArrow(answers, "blk int, part int, counts binary")
 
 
 def size_bands(percent: int, top: int = 1 << 40) -> list[int]:
@@ -113,25 +131,29 @@ def size_bands(percent: int, top: int = 1 << 40) -> list[int]:
     return bounds
 
 
-def index_keys(s: np.ndarray, counts: np.ndarray, frequent: int, bands: list[int], percent: int = PERCENT) -> tuple[np.ndarray, np.ndarray]:
-    """Keys of single shingles and keys of shingle pairs under which the set ``s`` is indexed."""
+def index_keys(s: np.ndarray, holders: np.ndarray, frequent: int, bands: list[int], percent: int = PERCENT) -> tuple[np.ndarray, np.ndarray, bool]:
+    """Keys of single shingles and keys of shingle pairs under which the set ``s`` is indexed, and whether its prefix has rare shingles only.
+
+    ``holders`` has the number of sets that hold each shingle; those of one set alone fill the prefix and give no key.
+    """
     n = len(s)
     none = np.empty(0, U64)
     if n < 2:
-        return none, none  # an equal set is the same node
+        return none, none, True  # an equal set is the same node
     need = share(n, percent)
     prefix = n - need + 1
-    estimate = counts[(s % U64(len(counts))).astype(np.int64)]
-    often = estimate > frequent
-    rare = s[~often]
-    if len(rare) >= prefix:
-        return rare[:prefix], none
-    common = s[often][np.lexsort((s[often], estimate[often]))]
+    order = np.lexsort((s, holders))
+    s, holders = s[order], holders[order]
+    rares = int(np.searchsorted(holders, frequent, side="right"))
+    alone = int(np.searchsorted(holders, 1, side="right"))
+    if rares >= prefix:
+        return s[min(alone, prefix) : prefix], none, True
+    common = s[rares:]
     own = int(np.searchsorted(bands, n, side="right")) - 1
     found = []
     for band in (own, own + 1):
         k = max(2, bands[band] // 8)
-        held = common[: max(0, n - need + k - len(rare))]
+        held = common[: max(0, n - need + k - rares)]
         if len(held) < 2:
             continue
         group = mix64(held + U64(band)) % U64(k - 1)
@@ -142,34 +164,30 @@ def index_keys(s: np.ndarray, counts: np.ndarray, frequent: int, bands: list[int
             with np.errstate(over="ignore"):
                 found.append(mix64(held[:-step][same] * U64(3) + mix64(held[step:][same]) + U64(band)))
             step += 1
-    return rare, np.unique(np.concatenate(found)) if found else none
+    return s[alone:rares], np.unique(np.concatenate(found)) if found else none, False
 
 
-def _postings(docs: DataFrame, shared: Broadcast, frequent: int, percent: int) -> DataFrame:
-    """key, paired (a key of two shingles), node, n, whole (the node has keys of single shingles only)."""
+def _postings(dealt: DataFrame, holders: DataFrame, bits: int, frequent: int, percent: int) -> DataFrame:
+    """key, paired (a key of two shingles), node, n, whole (the prefix of the node has rare shingles only)."""
     bands = size_bands(percent)
 
-    def run(batches: Iterator) -> Iterator:
-        shingles, seen, table = Shingles(), set(), shared.value
-        for _, texts in columns(batches, "doc_id", "text"):
-            for at in range(0, len(texts), 1000):
-                keys, pairs, nodes, sizes, whole = [], [], [], [], []
-                for s in shingles.each(texts[at : at + 1000]):
-                    node = node_of(s)
-                    if node in seen:
-                        continue
-                    seen.add(node)
-                    one, two = index_keys(s, table, frequent, bands, percent)
-                    m = len(one) + len(two)
-                    keys += [one, two]
-                    pairs.append(np.repeat([False, True], [len(one), len(two)]))
-                    nodes.append(np.full(m, node, np.int64))
-                    sizes.append(np.full(m, len(s), np.int32))
-                    whole.append(np.full(m, len(one) == len(s) - share(len(s), percent) + 1 and not len(two), bool))
-                if keys:
-                    yield pa.RecordBatch.from_arrays([pa.array(signed(np.concatenate(keys))), *(pa.array(np.concatenate(x)) for x in (pairs, nodes, sizes, whole))], ["key", "paired", "node", "n", "whole"])
-
-    return text_bytes(docs).mapInArrow(run, "key long, paired boolean, node long, n int, whole boolean")
+    def run(key, left, right):
+        nodes, sets = _block_sets(left)
+        replies = sorted(zip(right.column("part").to_pylist(), right.column("counts").to_pylist(), strict=True))
+        counts = np.concatenate([unpack(x, "<u4") for _, x in replies])
+        distinct_ = np.unique(cut(np.concatenate(sets), bits))
+        keys, pairs, owners, sizes, whole = [np.empty(0, U64)], [], [], [], []
+        for node, s in zip(nodes.tolist(), sets, strict=True):
+            one, two, rare = index_keys(s, counts[np.searchsorted(distinct_, cut(s, bits))], frequent, bands, percent)
+            m = len(one) + len(two)
+            keys += [one, two]
+            pairs.append(np.repeat([False, True], [len(one), len(two)]))
+            owners.append(np.full(m, node, np.int64))
+            sizes.append(np.full(m, len(s), np.int32))
+            whole.append(np.full(m, rare, bool))
+        return pa.table({"key": pa.array(signed(np.concatenate(keys)))} | {c: pa.array(np.concatenate(x)) for c, x in (("paired", pairs), ("node", owners), ("n", sizes), ("whole", whole))})
+
+    return dealt.groupBy("blk").cogroup(holders.groupBy("blk")).applyInArrow(run, "key long, paired boolean, node long, n int, whole boolean")
 
 
 def _shared_keys(postings: DataFrame) -> DataFrame:
@@ -236,23 +254,17 @@ def _sides(rows: DataFrame, a: str, b: str) -> DataFrame:
     return rows.select(x.alias("x"), y.alias("y"), "paired").select(F.col("x.node").alias("a"), F.col("x.n").alias("an"), F.col("x.whole").alias("aw"), F.col("y.node").alias("b"), F.col("y.n").alias("bn"), F.col("y.whole").alias("bw"), "paired")
 
 
-def near_duplicates(docs: DataFrame, percent: int = PERCENT, slots: int = COUNT_SLOTS, frequent: int = 8) -> DataFrame:
-    """One row per document: doc_id, n_shingles, component_id.
-
-    A shingle is frequent if its estimated count is over the table's mean load by ``frequent`` or a standard error; a
-    rare one taken for a frequent one by chance costs nothing, as a prefix needs a quarter of rare ones only.
-    """
+def near_duplicates(docs: DataFrame, percent: int = PERCENT, frequent: int = 8, block_bytes: int = BLOCK_BYTES) -> DataFrame:
+    """One row per document: doc_id, n_shingles, component_id, own (hash of the text), first (the row that stands for its
+    class; all rows of a class without ids do). A shingle with more than ``frequent`` holders is frequent."""
     checkpoints(docs.sparkSession)
-    features = stored(_features(docs, slots))
-    rows = features.where("chunk is null").select("doc_id", "node", "n")
-    counts = _shingle_counts(features, slots)
-    load = counts.mean()
-    limit = int(load + max(frequent, load**0.5))
-    table = docs.sparkSession.sparkContext.broadcast(counts)  # 4 bytes a slot, whatever the data
-    del counts
-    keys = stored(_shared_keys(_postings(docs, table, limit, percent)))
-    table.destroy()
-    release(docs.sparkSession)  # the postings' shuffle is the largest of all
+    rows = stored(_features(docs))
+    blocks = blocks_for(docs, block_bytes)
+    dealt = _dealt(docs, blocks)
+    bits = key_bits(blocks, block_bytes, SPARE_BITS)
+    postings = stored(_postings(dealt, _holders(dealt, blocks, bits), bits, frequent, percent))
+    release(docs.sparkSession)  # the exchange of texts and the slices
+    keys = stored(_shared_keys(postings))
     reps = rows.groupBy("node").agg(F.min("doc_id").alias("doc_id"))
     ends = lambda p: p.select(F.col("a").alias("node")).unionByName(p.select(F.col("b").alias("node"))).distinct()
 
@@ -285,17 +297,18 @@ def near_duplicates(docs: DataFrame, percent: int = PERCENT, slots: int = COUNT_
         if not found.isEmpty():
             components = connected_components(links.unionByName(found))
 
-    grouped = rows.where("n > 0").join(components, "node", "left").select("doc_id", "n", F.coalesce("component", "node").alias("node"))
-    least = grouped.groupBy("node").agg(F.min("doc_id").alias("component_id"))
-    out = grouped.join(least, "node").select("doc_id", F.col("n").cast("long").alias("n_shingles"), "component_id")
-    return out.unionByName(rows.where("n = 0").select("doc_id", F.lit(0).cast("long").alias("n_shingles"), F.col("doc_id").alias("component_id")))
+    grouped = rows.where("n > 0").join(components, "node", "left").select("doc_id", "own", "n", F.coalesce("component", "node").alias("node"))
+    least = grouped.groupBy("node").agg(F.min(F.when(F.col("doc_id").isNotNull(), F.struct("doc_id", "own"))).alias("first"))
+    first = F.col("first").isNull() | F.struct("doc_id", "own").eqNullSafe(F.col("first"))
+    out = grouped.join(least, "node").select("doc_id", F.col("n").cast("long").alias("n_shingles"), F.col("first.doc_id").alias("component_id"), "own", first.alias("first"))
+    return out.unionByName(rows.where("n = 0").select("doc_id", F.lit(0).cast("long").alias("n_shingles"), F.col("doc_id").alias("component_id"), "own", F.lit(True).alias("first")))
 
 
 def keep_one(docs: DataFrame, **options) -> DataFrame:
-    """``docs`` without the documents that have a near duplicate of a smaller id; without ids nothing can be left out."""
-    gone = near_duplicates(docs, **options).where("doc_id <> component_id").select(F.col("doc_id").alias("gone__"))
-    return docs.join(gone, docs["doc_id"] == gone["gone__"], "left_anti")
+    """``docs`` with one row of each class of near duplicates, the first by id and hash of the text."""
+    gone = near_duplicates(docs, **options).where("not first").select(F.col("doc_id").alias("gone__"), F.col("own").alias("own__"))
+    return docs.join(gone, docs["doc_id"].eqNullSafe(gone["gone__"]) & (F.xxhash64(docs["text"]) == gone["own__"]), "left_anti")
 
 
 def op5_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return near_duplicates(documents(spark, sf_dir))
+    return near_duplicates(documents(spark, sf_dir)).select("doc_id", "n_shingles", "component_id")
