@@ -598,3 +598,19 @@ def _stream_probe(spark: SparkSession, sf_dir: str) -> DataFrame:
 register("stream_probe", _stream_probe, f"with b as materialized ({_BITS_SQL}), q as (select qid, lo >> {42 - engine._L} as x from ({sql.uniform(_TS, 500)})) select qid, x, count(*) as n_set from (select distinct qid, x, {engine._positions_sql('x')} as pos from q, range({engine._H}) as r(i)) p join b using (pos) group by qid, x")
 register("events_stream_tumbling", lambda s, d: _drained(queue.event_windows(_as_stream(table(s, d, "events").select("ts", "event_type")), "1 hour"), "complete").select(F.unix_micros("window.start").alias("start_us"), "event_type", "n"), ORACLES["events_tumbling"])
 register("events_session", lambda s, d: queue.event_windows(table(s, d, "events"), "1 hour", gap="10 minutes").select(F.unix_micros("window.start").alias("start_us"), "event_type", "n"), "select epoch_us(min(ts)) as start_us, event_type, count(*) as n from (select *, sum(new) over (partition by event_type order by ts rows unbounded preceding) as s from (select event_type, ts, (coalesce(epoch_us(ts) - epoch_us(lag(ts) over (partition by event_type order by ts)) >= 600000000, true))::integer as new from events)) group by event_type, s")
+
+
+def _stream_inserts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Keys that a stream wrote into a store, by run."""
+    path = store.shared_folder(spark)
+    stream = _as_stream(workload.keys(spark, sf_dir, "ts").select("code"))
+    writer = queue.insert_stream(stream, path, lambda rows: store.cut_runs(rows, _TS.space, 3))
+    run = writer.option("checkpointLocation", store.shared_folder(spark)).trigger(availableNow=True).start()
+    try:
+        run.processAllAvailable()
+    finally:
+        run.stop()
+    return store.read_store(spark, path).groupBy("run_id").agg(F.count("*").alias("n"), F.sum("code").alias("total"))
+
+
+register("stream_inserts", _stream_inserts, f"select code >> 39 as run_id, count(*) as n, sum(code)::bigint as total from ({sql.keys('ts')}) group by 1")

@@ -2,13 +2,15 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from rangegate.sources.store import write_store
+
 
 def offer(queue: DataFrame, executed: DataFrame, capacity: int = 20_000, every: int = 100) -> DataFrame:
     """seq, lo, hi after the empty queries ``executed(seq, lo, hi)`` ran; seed rows have numbers below zero.
@@ -66,3 +68,12 @@ def event_windows(events: DataFrame, length: str, slide: str | None = None, gap:
     timed = timed.withWatermark("at", length) if events.isStreaming else timed
     window = F.session_window("at", gap) if gap else F.window("at", length, slide) if slide else F.window("at", length)
     return timed.groupBy(window.alias("window"), "event_type").agg(F.count("*").alias("n"))
+
+
+def insert_stream(inserts: DataFrame, path: str, cut: Callable[[DataFrame], DataFrame]):
+    """Writer of a stream of inserts into a store: each micro-batch becomes runs of its own, cut by ``cut``."""
+
+    def flush(batch: DataFrame, number: int) -> None:
+        write_store(cut(batch), path, mode="append")
+
+    return inserts.writeStream.foreachBatch(flush)
