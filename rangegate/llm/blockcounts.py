@@ -4,6 +4,9 @@ Documents are dealt to blocks of bounded size. A block sends the sorted distinct
 the keys into slices, one row a slice; a group of slices with one range of keys adds them up and answers each slice with
 the totals of its keys in their order. So a key costs its differences to its neighbours on the way, and one number back;
 a key of a third of all rows is one key a block. Nothing is broadcast or collected, whatever the number of keys.
+
+Keys may be cut to their leading bits, as many as the number of tokens needs and some to spare: totals are then those of
+all keys with these bits, never too low, and too high for one key in 2^spare.
 """
 
 from __future__ import annotations
@@ -27,12 +30,22 @@ def unpack(data: bytes, kind: str) -> np.ndarray:
     return np.ascontiguousarray(planes.T).reshape(-1).view(kind)
 
 
-def pack_keys(ascending: np.ndarray) -> bytes:
-    return pack(np.diff(ascending, prepend=U64(0)))
+def key_bits(blocks: int, block_bytes: int, spare: int) -> int:
+    """Leading bits that keep a key of each token apart, and ``spare`` more; a token takes two bytes at least."""
+    return min(64, spare + max(1, blocks * block_bytes // 2).bit_length())
+
+
+def cut(keys: np.ndarray, bits: int) -> np.ndarray:
+    """Keys with all but their leading bits zero; the order stays."""
+    return (keys >> U64(64 - bits)) << U64(64 - bits)
+
+
+def pack_keys(ascending: np.ndarray, bits: int) -> bytes:
+    return pack(np.diff(ascending >> U64(64 - bits), prepend=U64(0)))
 
 
-def unpack_keys(data: bytes) -> np.ndarray:
-    return np.cumsum(unpack(data, "<u8"), dtype=U64)
+def unpack_keys(data: bytes, bits: int) -> np.ndarray:
+    return np.cumsum(unpack(data, "<u8"), dtype=U64) << U64(64 - bits)
 
 
 def slices(ascending: np.ndarray, parts: int) -> Iterator[tuple[int, int, int]]:
