@@ -2,10 +2,11 @@
 
 Lines without a word are passed over; the others are compared without the blanks at their ends. Every window of three
 such lines is hashed (128 bits); of the windows with one hash the first by (doc_id, position) stays, the lines of all
-later ones are covered, and covered positions merge into what is removed.
+later ones are covered, and covered positions merge into what is removed. A row is known by its id and the hash of its
+text, so rows that share an id, or have none, keep their own positions.
 
-Defined results: null texts, empty texts and texts of fewer than three lines keep everything; rows of one doc_id share
-their positions, so equal rows of one id stay together; rows with a null doc_id come last; an empty table gives an
+Defined results: null texts, empty texts and texts of fewer than three lines keep everything; equal rows of one id stay
+together, different texts of one id come in the order of their hashes; rows with a null doc_id come last; an empty table gives an
 empty result; other columns are kept as they are. The first window of a hash is a grouped minimum combined in each task,
 and only hashes seen twice are joined back, so a block of lines in a third of all rows is split like any skewed key.
 """
@@ -19,34 +20,36 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from rangegate.llm.text import columns, documents, text_bytes
+from rangegate.llm.text import columns, documents
 
 WINDOW_LINES = 3
 LAST = (1 << 63) - 1
 
 
 def line_windows(docs: DataFrame, width: int = WINDOW_LINES) -> DataFrame:
-    """h, doc_id, at: every window of ``width`` lines with a word and the number of its first line among these."""
+    """h, doc_id, own (hash of the text), at: every window of ``width`` lines with a word and the number of its first line among these."""
 
     def run(batches: Iterator) -> Iterator:
-        for ids, texts in columns(batches, "doc_id", "text"):
-            hashes, owners, places = [], [], []
-            for doc_id, text in zip(ids, texts, strict=True):
+        for ids, own, texts in columns(batches, "doc_id", "own", "text"):
+            hashes, owners, marks, places = [], [], [], []
+            for doc_id, mark, text in zip(ids, own, texts, strict=True):
                 lines = [x for line in (text or b"").split(b"\n") if (x := line.strip())]
                 for at in range(len(lines) - width + 1):
                     hashes.append(xxhash.xxh3_128_digest(b"\n".join(lines[at : at + width])))
                     owners.append(LAST if doc_id is None else doc_id)
+                    marks.append(mark)
                     places.append(at)
-            yield pa.RecordBatch.from_arrays([pa.array(hashes, pa.binary()), pa.array(owners, pa.int64()), pa.array(places, pa.int32())], ["h", "doc_id", "at"])
+            yield pa.RecordBatch.from_arrays([pa.array(hashes, pa.binary()), pa.array(owners, pa.int64()), pa.array(marks, pa.int64()), pa.array(places, pa.int32())], ["h", "doc_id", "own", "at"])
 
-    return text_bytes(docs).mapInArrow(run, "h binary, doc_id long, at int")
+    own = F.xxhash64("text").alias("own")
+    return docs.select("doc_id", own, F.col("text").cast("binary").alias("text")).mapInArrow(run, "h binary, doc_id long, own long, at int")
 
 
 def later_windows(windows: DataFrame) -> DataFrame:
-    """doc_id, starts: the windows of each document that stand somewhere before."""
-    first = windows.groupBy("h").agg(F.min(F.struct("doc_id", "at")).alias("first"), F.count("*").alias("n")).where("n > 1")
-    later = windows.join(first.select("h", "first"), "h").where("doc_id <> first.doc_id or at <> first.at")
-    return later.groupBy("doc_id").agg(F.collect_set("at").alias("starts"))
+    """doc_id, own, starts: the windows of each row that stand somewhere before."""
+    first = windows.groupBy("h").agg(F.min(F.struct("doc_id", "own", "at")).alias("first"), F.count("*").alias("n")).where("n > 1")
+    later = windows.join(first.select("h", "first"), "h").where("doc_id <> first.doc_id or own <> first.own or at <> first.at")
+    return later.groupBy("doc_id", "own").agg(F.collect_set("at").alias("starts"))
 
 
 def without_lines(text: str, starts: list[int], width: int = WINDOW_LINES) -> tuple[str, int, int]:
@@ -67,8 +70,9 @@ def without_lines(text: str, starts: list[int], width: int = WINDOW_LINES) -> tu
 
 def with_starts(docs: DataFrame, width: int = WINDOW_LINES) -> DataFrame:
     """``docs`` with a column ``starts__``: null, or the windows to take out."""
-    later = later_windows(line_windows(docs, width)).withColumnRenamed("doc_id", "id__").withColumnRenamed("starts", "starts__")
-    return docs.join(later, F.coalesce(docs["doc_id"], F.lit(LAST)) == F.col("id__"), "left").drop("id__")
+    later = later_windows(line_windows(docs, width)).select(F.col("doc_id").alias("id__"), F.col("own").alias("own__"), F.col("starts").alias("starts__"))
+    same = (F.coalesce(docs["doc_id"], F.lit(LAST)) == F.col("id__")) & (F.xxhash64(docs["text"]) == F.col("own__"))
+    return docs.join(later, same, "left").drop("id__", "own__")
 
 
 def dedup_lines(docs: DataFrame, width: int = WINDOW_LINES, drop_emptied: bool = True) -> DataFrame:
