@@ -4,8 +4,8 @@ Every line is judged by three rules; lines that fail are removed, and a document
 rejected. Word counts and repeats of the whole text are measured beside them.
 
 * punctuation: more than one mark of ``#*$%&<>`` for ten characters, or doubled exclamation marks on a third of the words
-* navigation: three or more ``|``, at least one for three words
-* boilerplate: a phrase of PHRASES
+* navigation: three or more of the separators ``|»›•·→``, at least one for three words
+* boilerplate: a phrase of PHRASES, which are those of four languages
 
 Defined results: a null text counts as empty, has no words and is rejected; blank lines are dropped from the cleaned
 text and count as nothing; a repeated doc_id is one more row; an empty table gives an empty result; other columns are
@@ -20,7 +20,15 @@ from pyspark.sql import functions as F
 from rangegate.llm.text import documents
 
 #: Phrases of boilerplate lines, lower case (fixed values).
-PHRASES = ["licensed under", "released under", "all rights reserved", "terms of use", "terms of service", "privacy policy", "cookie policy", "accept cookies", "click here", "sign up for our", "subscribe to our", "enable javascript", "powered by"]
+PHRASES = [
+    *("licensed under", "released under", "all rights reserved", "terms of use", "terms of service", "privacy policy", "cookie policy", "accept cookies"),
+    *("click here", "sign up for our", "subscribe to our", "enable javascript", "powered by", "skip to content", "back to top", "share on", "follow us on"),
+    *("alle rechte vorbehalten", "datenschutzerklärung", "nutzungsbedingungen", "cookies akzeptieren"),
+    *("tous droits réservés", "politique de confidentialité", "mentions légales", "accepter les cookies"),
+    *("todos los derechos reservados", "política de privacidad", "términos de uso", "aceptar cookies"),
+]
+#: Marks between the entries of a navigation line (fixed values).
+SEPARATORS = "|»›•·→"
 BLANKS = " \\t\\n\\u000b\\u000c\\r"
 MIN_WORDS = 50
 MAX_REPEAT_PERCENT = 50
@@ -71,9 +79,8 @@ def line_passes(line: str) -> str:
     """SQL condition of a line that no rule removes."""
     n_words = f"size(split(trim({line}), ' +'))"
     punctuation = f"10 * {marks(line, '#*$%&<>')} > char_length({line}) or 3 * {marks(line, '!')} > 2 * {n_words} and instr({line}, '!!') > 0"
-    navigation = f"{marks(line, '|')} >= 3 and 3 * {marks(line, '|')} >= {n_words}"
-    phrases = " or ".join(f"contains(lower({line}), '{p}')" for p in PHRASES)
-    return f"not ({punctuation} or {navigation} or {phrases})"
+    navigation = f"{marks(line, SEPARATORS)} >= 3 and 3 * {marks(line, SEPARATORS)} >= {n_words}"
+    return f"not ({punctuation} or {navigation} or lower({line}) rlike '{'|'.join(PHRASES)}')"
 
 
 def apply_line_rules(docs: DataFrame) -> DataFrame:
@@ -94,7 +101,7 @@ def oracle() -> str:
     count = lambda x, chars: f"(length({x}) - length(translate({x}, '{chars}', '')))"
     line = f"""not (10 * {count('l', '#*$%&<>')} > length(l)
       or 3 * {count('l', '!')} > 2 * len(regexp_split_to_array(trim(l), ' +')) and contains(l, '!!')
-      or {count('l', '|')} >= 3 and 3 * {count('l', '|')} >= len(regexp_split_to_array(trim(l), ' +'))
+      or {count('l', SEPARATORS)} >= 3 and 3 * {count('l', SEPARATORS)} >= len(regexp_split_to_array(trim(l), ' +'))
       or {' or '.join(f"contains(lower(l), '{p}')" for p in PHRASES)})"""
     return f"""
 with d as (
