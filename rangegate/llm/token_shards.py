@@ -3,7 +3,7 @@
 Documents' ids run into sequences of a fixed number of tokens; each task fills its own and pads its last one with id 0.
 The sequences are written once, so their numbers hold. A keyed Feistel network over the next even power of two,
 walked along its cycle until the value is below the number of sequences, permutes their numbers: the result is the slot
-of a sequence in training order. Range partitions of slots hold whole shards of a fixed number of slots of fixed width,
+of a sequence in training order. On disk and between tasks ids travel compressed. Range partitions of slots hold whole shards of a fixed number of slots of fixed width,
 so slot s starts at byte (s mod shard_slots) * stride of shard s div shard_slots, and a reader may resume anywhere.
 
 Defined results: a null or empty text has its end id alone; repeated rows are taken each; a null doc_id is kept; an
@@ -22,7 +22,7 @@ import numpy as np
 import pandas as pd
 import pyarrow as pa
 from pyspark import TaskContext
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from rangegate.llm.graph import checkpoints, stored
@@ -61,7 +61,7 @@ def feistel(x: np.ndarray, n: int, key: int = KEY, inverse: bool = False) -> np.
 
 
 def sequences(docs: DataFrame, tokenizer_path: str, width: int = SEQUENCE_TOKENS) -> DataFrame:
-    """part, idx, n_tokens, pieces, ids (unsigned 16-bit, little-endian, padded to ``width``)."""
+    """part, idx, n_tokens, pieces, packed: the compressed ids (unsigned 16-bit, little-endian, padded to ``width``)."""
 
     def run(batches: Iterator) -> Iterator:
         bpe, end, part = encoder(tokenizer_path), END_ID.to_bytes(4, "little"), TaskContext.get().partitionId()
@@ -71,14 +71,17 @@ def sequences(docs: DataFrame, tokenizer_path: str, width: int = SEQUENCE_TOKENS
         def close() -> None:
             nonlocal held, pieces, size, made
             ids = np.zeros(width, "<u2")
-            ids[:size] = np.frombuffer(b"".join(held), "<u4")
-            rows.append((made, size, pieces, ids.tobytes()))
+            given = np.frombuffer(b"".join(held), "<u4")
+            if given.max() > 0xFFFF:
+                raise ValueError(f"id {given.max()} does not fit 16 bits")
+            ids[:size] = given
+            rows.append((made, size, pieces, zlib.compress(ids.tobytes(), 1)))
             held, pieces, size, made = [], [], 0, made + 1
 
         def out() -> pa.RecordBatch:
             idx, n, where, ids = zip(*rows, strict=True) if rows else ((),) * 4
             kind = pa.list_(pa.struct([("doc_id", pa.int64()), ("start", pa.int64()), ("length", pa.int32())]))
-            batch = pa.RecordBatch.from_arrays([pa.array([part] * len(idx), pa.int32()), pa.array(idx, pa.int64()), pa.array(n, pa.int32()), pa.array(where, kind), pa.array(ids, pa.binary())], ["part", "idx", "n_tokens", "pieces", "ids"])
+            batch = pa.RecordBatch.from_arrays([pa.array([part] * len(idx), pa.int32()), pa.array(idx, pa.int64()), pa.array(n, pa.int32()), pa.array(where, kind), pa.array(ids, pa.binary())], ["part", "idx", "n_tokens", "pieces", "packed"])
             rows.clear()
             return batch
 
@@ -99,11 +102,21 @@ def sequences(docs: DataFrame, tokenizer_path: str, width: int = SEQUENCE_TOKENS
             close()
         yield out()
 
-    return docs.select("doc_id", "text").mapInArrow(run, f"part int, idx long, n_tokens int, pieces {PIECE}, ids binary")
+    return docs.select("doc_id", "text").mapInArrow(run, f"part int, idx long, n_tokens int, pieces {PIECE}, packed binary")
 
 
-def training_order(docs: DataFrame, tokenizer_path: str, width: int = SEQUENCE_TOKENS, shard_slots: int = SHARD_SLOTS, key: int = KEY) -> DataFrame:
-    """One row per sequence in slot order: slot, shard, byte_offset, n_tokens, pieces, ids."""
+def opened(packed: str) -> Column:
+    """The ids of compressed sequences."""
+
+    @F.pandas_udf("binary")
+    def ids(column: pd.Series) -> pd.Series:
+        return column.map(zlib.decompress)
+
+    return ids(packed)
+
+
+def training_order(docs: DataFrame, tokenizer_path: str, width: int = SEQUENCE_TOKENS, shard_slots: int = SHARD_SLOTS, key: int = KEY, packed: bool = False) -> DataFrame:
+    """One row per sequence in slot order: slot, shard, byte_offset, n_tokens, pieces, ids (or packed)."""
     rows = stored(sequences(docs, tokenizer_path, width))
     parts = rows.groupBy("part").agg(F.count("*").alias("n"))
     before = parts.select("part", (F.sum("n").over(Window.orderBy("part")) - F.col("n")).alias("base"))
@@ -116,7 +129,7 @@ def training_order(docs: DataFrame, tokenizer_path: str, width: int = SEQUENCE_T
     placed = rows.join(F.broadcast(before) if parts.count() <= 100_000 else before, "part").withColumn("slot", slot(F.col("base") + F.col("idx")))
     shards = max(1, -(-total // shard_slots))
     ordered = placed.withColumn("shard", F.expr(f"slot div {shard_slots}")).repartitionByRange(shards, "shard").sortWithinPartitions("slot")
-    return ordered.select("slot", "shard", (F.col("slot") % shard_slots * (2 * width)).alias("byte_offset"), "n_tokens", "pieces", "ids")
+    return ordered.select("slot", "shard", (F.col("slot") % shard_slots * (2 * width)).alias("byte_offset"), "n_tokens", "pieces", "packed" if packed else opened("packed").alias("ids"))
 
 
 def mounted(folder: str) -> str:
@@ -132,13 +145,14 @@ def write_shards(ordered: DataFrame, folder: str, width: int = SEQUENCE_TOKENS,
 
     Each file is renamed into place when it is whole, so a lost task may run again.
     """
-    path = mounted(folder)
+    path, name = mounted(folder), "packed" if "packed" in ordered.columns else "ids"
 
     def run(batches: Iterator) -> Iterator:
         os.makedirs(path, exist_ok=True)
         state: dict[int, list] = {}
-        for shards, slots, ids in columns(batches, "shard", "slot", "ids"):
-            for shard, slot, data in zip(shards, slots, ids, strict=True):
+        for shards, slots, found in columns(batches, "shard", "slot", name):
+            for shard, slot, data in zip(shards, slots, found, strict=True):
+                data = zlib.decompress(data) if name == "packed" else data
                 if shard not in state:
                     state[shard] = [open(f"{path}/.shard-{shard:06d}.{TaskContext.get().taskAttemptId()}", "wb"), 0, 0]
                 f = state[shard]
@@ -150,7 +164,7 @@ def write_shards(ordered: DataFrame, folder: str, width: int = SEQUENCE_TOKENS,
             os.replace(f.name, f"{path}/shard-{shard:06d}.bin")
         yield pa.RecordBatch.from_arrays([pa.array(list(state), pa.int64()), pa.array([s[1] for s in state.values()], pa.int64()), pa.array([s[2] for s in state.values()], pa.int64())], ["shard", "slots", "crc32"])
 
-    return ordered.select("shard", "slot", "ids").mapInArrow(run, "shard long, slots long, crc32 long")
+    return ordered.select("shard", "slot", name).mapInArrow(run, "shard long, slots long, crc32 long")
 
 
 def read_slots(folder: str, first: int, count: int, width: int = SEQUENCE_TOKENS, shard_slots: int = SHARD_SLOTS) -> np.ndarray:
@@ -195,7 +209,7 @@ def op6_training_order(spark: SparkSession, sf_dir: str) -> DataFrame:
 
     The files are those of a new folder shards-* in the checkpoint folder.
     """
-    rows = training_order(documents(spark, sf_dir), default_path())
+    rows = training_order(documents(spark, sf_dir), default_path(), packed=True)
     folder = f"{checkpoints(spark)}/shards-{uuid.uuid4().hex}"
     write_shards(rows, folder).agg(F.sum("slots")).collect()
     return read_back(rows, folder)
