@@ -1,5 +1,6 @@
 """The training-data operators on small fixtures with nulls, empties, ties and repeated rows, against brute force."""
 
+import hashlib
 import math
 import zlib
 from collections import Counter, defaultdict
@@ -64,8 +65,6 @@ def test_exact_dedup(docs, empty):
 
 
 def test_cuckoo_index_resizes_and_deletes():
-    import hashlib
-
     index = exact_dedup.DigestIndex(4)
     digests = [hashlib.sha256(str(i).encode()).digest() for i in range(3000)]
     for i, d in enumerate(digests):
@@ -76,6 +75,22 @@ def test_cuckoo_index_resizes_and_deletes():
     assert index.live[digests[8]] == (99, 2)
 
 
+def test_index_decides_which_rows_stay(docs, spark):
+    """Copies of several tasks meet in the index, which deletes, verifies and resizes."""
+    many = docs.unionByName(docs.withColumn("doc_id", F.col("doc_id") + 1000)).unionByName(spark.range(3000).selectExpr("id + 5000 as doc_id", "concat('t', id % 2500) as text", "'en' as lang", "'s' as source", "1L as n_chars", "1.0d as score")).repartition(6)
+    rows = exact_dedup.digests(many).persist()
+    live, stats = exact_dedup.live_digests(rows, rows.count(), bucket_rows=700, capacity=4)
+    s = stats.groupBy().sum("misses", "hits", "deletions", "resizes", "false_hits").first()
+    distinct = rows.select("digest").distinct().count()
+    assert live.count() == distinct and s["sum(hits)"] > 0 and s["sum(deletions)"] > 0 and s["sum(resizes)"] > 0
+    assert s["sum(misses)"] + s["sum(false_hits)"] == distinct
+    groups = defaultdict(list)
+    for r in many.collect():
+        groups[(r.text or "").encode().lower()].append(r.doc_id)
+    want = {i: (max(g), len(g)) for g in groups.values() for i in g}
+    assert {r.doc_id: (r.keep_id, r.group_size) for r in exact_dedup.exact_dedup(many, bucket_rows=700, capacity=4).collect()} == want
+
+
 def test_repeated_passages(docs, empty):
     count, given = Counter(), [(t or "").encode().split() for t in texts()]
     for w in given:
@@ -88,7 +103,7 @@ def test_repeated_passages(docs, empty):
     assert got == want and substring_dedup.repeated_passages(empty).count() == 0
 
 
-@pytest.mark.parametrize("frequent", [8, -100_000])
+@pytest.mark.parametrize("frequent", [8, 1])
 def test_near_duplicates(docs, frequent):
     sets = []
     for t in texts():
@@ -100,7 +115,7 @@ def test_near_duplicates(docs, frequent):
             if sets[i] and 100 * len(sets[i] & sets[j]) >= 75 * len(sets[i] | sets[j]):
                 a, b = sorted((root[i], root[j]))
                 root = [a if r == b else r for r in root]
-    got = {r.doc_id: (r.n_shingles, r.component_id) for r in near_dedup.near_duplicates(docs, frequent=frequent).collect()}
+    got = {r.doc_id: (r.n_shingles, r.component_id) for r in near_dedup.near_duplicates(docs, frequent=frequent, block_bytes=900).collect()}
     assert got == {i: (len(s), root[i]) for i, s in enumerate(sets)}
 
 
@@ -112,14 +127,14 @@ def test_index_keys_meet_for_all_linked_sets():
     rng = np.random.default_rng(1)
     bands = near_dedup.size_bands(75)
     for n in (2, 3, 7, 20, 90, 400):
-        for often in (-1, 10**9):
+        for often in (1, 10**9):
             for _ in range(20):
                 x = np.unique(rng.integers(0, 1 << 62, n).astype(np.uint64))
                 cut = int(rng.integers(0, max(1, len(x) // 7) + 1))
                 y = np.unique(np.concatenate([x[cut:], rng.integers(0, 1 << 62, int(rng.integers(0, cut + 1))).astype(np.uint64)]))
                 o = len(np.intersect1d(x, y))
                 if len(x) > 1 and len(y) > 1 and 100 * o >= 75 * (len(x) + len(y) - o):
-                    kx, ky = (np.concatenate(near_dedup.index_keys(s, np.zeros(16), often, bands)) for s in (x, y))
+                    kx, ky = (np.concatenate(near_dedup.index_keys(s, 2 + (s % np.uint64(5)).astype(np.int64), often, bands)[:2]) for s in (x, y))
                     assert len(np.intersect1d(kx, ky))
 
 
@@ -153,6 +168,23 @@ def test_packing_round_trip(docs, empty):
     assert packing.pack(empty, default_path()).count() == 0
 
 
+def test_packing_fills_classes_with_whole_documents():
+    rng = np.random.default_rng(7)
+    lengths = np.minimum(rng.lognormal(6.2, 1.1, 4000).astype(int) + 1, 20_000)
+    packer = packing.HarmonicPacker(2048, 0)
+    for i, n in enumerate(lengths.tolist()):
+        packer.add(i, bytes(4 * n))
+        assert packer.room < 2048 + 2048 and len(packer.open) <= 64
+    packer.finish()
+    sizes, pieces = Counter(), Counter()
+    for doc_id, start, length, ids, total, sequence, offset in packer.rows:
+        sizes[sequence] += length
+        pieces[doc_id] += 1
+    assert all(n == 2048 or n & (n - 1) == 0 for n in sizes.values()) and sum(n < 2048 for n in sizes.values()) <= 11
+    fit = [i for i, n in enumerate(lengths) if n <= 2048]
+    assert sum(pieces[i] == 1 for i in fit) > 0.6 * len(fit)
+
+
 def test_tokenizer_agrees_with_whole_texts():
     import random
 
@@ -263,26 +295,51 @@ def test_context_mixing(docs, empty):
     assert lm_score.score(empty).count() == 0
 
 
-def test_context_counts_cover_all_words(spark):
-    rows = lm_score._context_counts(spark.createDataFrame([(b"abc", 1), (b"abd", 1), (b"x", 3)], "word binary, total long")).collect()
-    assert sum(r.n for r in rows) == (4 + 4 + 2 * 3) * (lm_score.ORDERS + 1)
+def test_scores_do_not_depend_on_blocks_or_partitions(docs, spark):
+    rows = {}
+    before = spark.conf.get("spark.sql.shuffle.partitions")
+    for parts, block in ((2, 900), (9, 20_000)):
+        spark.conf.set("spark.sql.shuffle.partitions", parts)
+        rows[parts] = {r.doc_id: tuple(r) for r in lm_score.score(docs.repartition(parts), block_bytes=block).collect()}
+    spark.conf.set("spark.sql.shuffle.partitions", before)
+    assert rows[2].keys() == rows[9].keys() and all(np.allclose(rows[2][i], rows[9][i], rtol=1e-9) for i in rows[2])
+
+
+@pytest.mark.parametrize("rows", [[(0, "one two two")], [(0, None)], [(2, "a"), (2, "a")], [(3, "x " * 40)]])
+def test_scores_of_tiny_tables(spark, rows):
+    got = lm_score.score(spark.createDataFrame(rows, "doc_id long, text string")).collect()
+    assert len(got) == len(rows) and all(np.isfinite(r.score) and r.score < 0 and np.isfinite(r.base_score) for r in got)
 
 
-def test_model_keeps_every_context():
-    rng = np.random.default_rng(3)
-    contexts = np.sort(np.unique(rng.integers(1, 1 << 56, 50_000, dtype=np.uint64))) << np.uint64(8)
-    raw, n = rng.integers(0, 256, len(contexts)).astype(np.uint8), rng.integers(1, 30, len(contexts))
-    m = lm_score.Model.of(contexts | raw, n, np.ones(256))
-    at, bit, inputs, _ = m.decisions(raw, np.tile(contexts, (lm_score.ORDERS, 1)), None)
-    want = np.log((n[at] + lm_score.PRIOR) / lm_score.PRIOR) * np.where(bit, 1, -1)
-    assert np.allclose(inputs[: lm_score.ORDERS], want, atol=1e-4)
-    _, _, unseen, _ = m.decisions(raw, np.tile(contexts ^ np.uint64(1 << 40), (lm_score.ORDERS, 1)), None)
-    assert (unseen[: lm_score.ORDERS] == 0).all()
+def test_model_beats_the_base_on_held_out_documents(spark):
+    rows = lm_score.op4_context_mixing(spark, SF.replace("0.001", "0.01")).where("held_out").agg(F.sum("base_score").alias("base"), F.sum("score").alias("score")).first()
+    assert rows.score > rows.base + 0.03 * abs(rows.base)
 
 
-def test_huffman_is_complete():
-    _, _, depth = lm_score.huffman(np.arange(256) + 0.5)
-    assert math.isclose(sum(2.0**-d for d in depth), 1.0)
+def test_block_counts_are_those_of_all_blocks():
+    from rangegate.llm import blockcounts
+
+    rng = np.random.default_rng(1)
+    blocks = [np.unique(rng.integers(0, 1 << 64, 500, dtype=np.uint64) % np.uint64(1 << 62) // np.uint64(1 << 53) * np.uint64(1 << 55)) for _ in range(6)]
+    counts, want = [rng.integers(0, 9, len(b)) for b in blocks], Counter()
+    for b, n in zip(blocks, counts, strict=True):
+        want.update(dict(zip(b.tolist(), n.tolist(), strict=True)))
+    got = defaultdict(list)
+    sent = [(part, i, blockcounts.unpack_keys(blockcounts.pack_keys(b[x:y], 64), 64), blockcounts.unpack(blockcounts.pack(n[x:y].astype("<u4")), "<u4")) for i, (b, n) in enumerate(zip(blocks, counts, strict=True)) for part, x, y in blockcounts.slices(b, 7)]
+    for part in range(7):
+        own = [s for s in sent if s[0] == part]
+        if own:
+            for (_, i, keys, _), found in zip(own, blockcounts.totals([s[2] for s in own], [s[3] for s in own])[2], strict=True):
+                got[i] += list(zip(keys.tolist(), found.tolist(), strict=True))
+    assert all(got[i] == [(k, want[k]) for k in b.tolist()] for i, b in enumerate(blocks))
+
+
+def test_spelling_counts_are_of_all_words():
+    total = lm_score.spelling_counts([b"abc", b"abd", b"x"])
+    assert total.sum() == lm_score.ORDERS * 8 * (4 + 4 + 2)
+    _, bit, slots = lm_score.spelling_slots([b"ab"])
+    raw = np.packbits(bit)
+    assert raw.tobytes() == b"ab\n" and slots.max() < 1 << lm_score.SLOT_BITS
 
 
 def test_mixing_meets_targets():
@@ -299,15 +356,141 @@ def test_mixing_meets_targets():
         assert np.allclose(np.bincount(c, p * tokens), t, rtol=1e-6)
 
 
+def test_mixing_on_tables_is_the_same_fit(docs):
+    marked = mixing.with_cells(docs).persist()
+    keys = ["source__", "lang__", "topic__"]
+    one, two = ({tuple(r)[:3]: r.p__ for r in mixing.cell_probabilities(marked, max_cells=m, rounds=4).select(*keys, "p__").collect()} for m in (100_000, 0))
+    assert one.keys() == two.keys() and all(math.isclose(one[k], two[k], rel_tol=1e-9) for k in one)
+    rows = marked.collect()
+    tokens = Counter()
+    for r in rows:
+        tokens[r.source__, r.lang__, r.topic__] += len((r.text or "").split())
+    p = dict.fromkeys(tokens, mixing.FRACTION)
+    for _ in range(4):
+        for d in range(3):
+            have, all_ = Counter(), Counter()
+            for k, n in tokens.items():
+                have[k[d]] += p[k] * n
+                all_[k[d]] += n
+            whole = sum(x**mixing.ALPHA for x in all_.values() if x)
+            for k in tokens:
+                aim = mixing.FRACTION * sum(all_.values()) * all_[k[d]] ** mixing.ALPHA / whole if all_[k[d]] else 0.0
+                p[k] = min(1.0, p[k] * (aim / have[k[d]] if have[k[d]] > 0 else float(aim > 0)))
+    assert p.keys() == one.keys() and all(math.isclose(p[k], one[k], rel_tol=1e-9) for k in p)
+
+
 def test_mixing_edges(docs, empty):
+    clash = docs.withColumns({"p": F.lit(2.0), "tokens": F.lit("x"), "topic": F.lit(1)})
+    assert mixing.mix(clash).columns == clash.columns
     kept = mixing.mix(docs)
     assert kept.columns == docs.columns and kept.count() <= docs.count() and mixing.mix(empty).count() == 0
 
 
-def test_stages_keep_the_columns_of_documents(docs, spark):
+CLASHES = ["n", "p", "key", "node", "h", "own", "at", "blk", "part", "counts", "kept", "shard", "slot", "tokens", "word", "size", "first", "component", "digest", "bucket", "owner", "score", "grade", "m", "t", "seq", "length", "ids"]
+
+
+@pytest.fixture(scope="module")
+def odd(spark):
+    """Null and repeated ids, equal rows, other columns with clashing names, and a text of two megabytes."""
+    rng = np.random.default_rng(11)
+    words = [f"v{i}" for i in range(3000)]
+    long = "\n".join(" ".join(rng.choice(words, 12)) + "." for _ in range(28_000))
+    lines = ["alpha beta gamma delta", "epsilon zeta eta theta", "iota kappa lambda mu", "nu xi omicron pi"]
+    body = " ".join(rng.choice(words, 120))
+    rows = [(None, "\n".join([*lines, "null one " + body[:300]])), (None, "\n".join(["other", *lines[:3], "tail"])), (None, None), (7, body), (7, body), (7, "\n".join([*lines, "seven"])), (8, long), (9, ""), (9, body + " more"), (10, " \n "), (None, body)]
+    made = spark.createDataFrame([(i, t, "en", "s", None if t is None else len(t)) for i, t in rows], SCHEMA)
+    return made.select("*", *[F.lit(f"{c}!").alias(c) for c in CLASHES]).repartition(3).persist()
+
+
+def test_odd_tables_exact_and_near(odd):
+    given = [(r.doc_id, (r.text or "").encode().lower()) for r in odd.collect()]
+    for r in exact_dedup.exact_dedup(odd).collect():
+        own = [i for i, t in given if hashlib.sha256(t).hexdigest() == r.text_sha256]
+        ids = [i for i in own if i is not None]
+        assert (r.group_size, r.keep_id) == (len(own), max(ids) if ids else None) and r.kept == (r.doc_id == r.keep_id)
+    near = near_dedup.near_duplicates(odd, block_bytes=100_000).collect()
+    assert len(near) == len(given) and sorted(r.component_id for r in near if r.n_shingles > 100 and r.n_shingles < 200) == [7, 7, 7, 7]
+    kept = near_dedup.keep_one(odd)
+    assert kept.columns == odd.columns and Counter(r.doc_id for r in kept.collect())[9] == 1 and sum(r.doc_id is None for r in kept.collect()) == 3
+
+
+def test_odd_tables_lines(odd, spark):
+    rows = line_dedup.dedup_lines(odd, drop_emptied=False)
+    assert rows.columns == odd.columns
+    got = {(r.doc_id, r.text) for r in rows.collect()}
+    texts_ = {(r.doc_id, r.text) for r in odd.collect()}
+    first = next(t for i, t in texts_ if i == 7 and t.endswith("seven"))
+    assert (7, first) in got and (None, "other\ntail") in got  # the row with an id comes first, rows without one keep their own positions
+    assert any(i is None and t and t.startswith("null one") for i, t in got) and (None, None) in got
+    passages = {(r.doc_id, r.n_words): bytes(r.kept) for r in substring_dedup.repeated_passages(odd).collect()}
+    assert passages[7, 120] == b"" and passages[9, 121] == b"more" and len(passages[8, 28_000 * 12]) > 1_000_000
+    rules = line_rules.apply_line_rules(odd).collect()
+    assert len(rules) == odd.count() and {r.n_words for r in rules if r.doc_id == 8} == {28_000 * 12}
+
+
+def test_odd_tables_tokens(odd, tmp_path):
+    ends = Counter((r.doc_id, r.doc_tokens) for r in packing.pack(odd, default_path()).where("start + length = doc_tokens").collect())
+    assert sum(ends.values()) == odd.count() and ends[None, 1] == 1 and sum(n for (i, _), n in ends.items() if i == 7) == 3
+    rows = token_shards.training_order(odd, default_path(), width=512, shard_slots=64)
+    assert sum(len({p.start for p in r.pieces if p.start == 0}) > 0 for r in rows.collect()) > 0
+    assert sum(p.length for r in rows.collect() for p in r.pieces) == sum(r.length for r in packing.pack(odd, default_path()).collect())
+
+
+def test_odd_tables_models(odd, spark):
+    rated = spark.createDataFrame([(7, 2), (8, 0), (9, 1), (9, 2)], "doc_id long, grade int")
+    model = quality.train(odd, rated)
+    assert quality.score(odd, model).count() == odd.count() and quality.keep_good(odd, model).columns == odd.columns
+    scores = lm_score.score(odd, block_bytes=300_000).collect()
+    assert len(scores) == odd.count() and all(r.score < 0 and r.base_score < 0 for r in scores) and sum(r.n_tokens == 1 for r in scores) == 3
+    mixed = mixing.mix(odd)
+    assert mixed.columns == odd.columns and mixed.count() <= odd.count()
+
+
+def test_stages_keep_the_columns_of_documents(docs, empty, odd, spark):
     base = docs.drop("score")
-    for name, stage in corpus_pipeline.STAGES[1:4]:
+    for name, stage in corpus_pipeline.STAGES[:4]:
         assert stage(spark, base, SF).schema == base.schema, name
+        assert stage(spark, empty, SF).count() == 0, name
+        assert stage(spark, odd, SF).columns == odd.columns, name
+    assert corpus_pipeline.STAGES[4][1](spark, empty, SF).count() == 0
+
+
+def test_pipeline_applies_its_stages_in_turn(spark):
+    """Each stage's decisions, made again by hand on what the one before it kept."""
+    given = spark.read.parquet(f"{SF}/documents.parquet")
+    good = quality.score(given, quality.train(given, quality.labels_table(spark, SF))).where("kept").select("doc_id")
+    kept = {"quality": given.join(good, "doc_id", "left_semi").select(*given.columns).persist()}
+    kept["lines"] = line_dedup.dedup_lines(kept["quality"]).persist()
+    rows = {r.doc_id: r.text for r in kept["lines"].collect()}
+    sets = {i: {tuple(w[j : j + 5]) for j in range(max(1, len(w) - 4))} for i, t in rows.items() if (w := (t or "").encode().lower().split())}
+    root = {i: i for i in sets}
+    for i in sorted(sets):
+        for j in sorted(sets):
+            if j < i and root[i] != root[j] and 100 * len(sets[i] & sets[j]) >= 75 * len(sets[i] | sets[j]):
+                a, b = sorted((root[i], root[j]))
+                root = {k: a if v == b else v for k, v in root.items()}
+    alone = {i for i in rows if root.get(i, i) == i}
+    kept["near"] = kept["lines"].where(F.col("doc_id").isin(sorted(alone))).persist()
+    last = {r.doc_id for r in mixing.mix(kept["near"]).collect()}
+    out = corpus_pipeline.run(spark, SF).collect()
+    assert {r.doc_id for r in out} == last and 0 < len(last) < len(alone) < given.count()
+    encoded = {i: len(e) // 4 + 1 for i, e in zip(rows, WordBpe(default_path()).encode(list(rows.values())), strict=True)}
+    sizes = Counter()
+    for r in out:
+        sizes[r.doc_id] += r.length
+    assert sizes == Counter({i: encoded[i] for i in last})
+
+
+def test_ratings_of_held_out_documents_are_predicted(spark):
+    """A model fit on half of the rated documents orders the other half: good ones above the rest."""
+    given = spark.read.parquet("/root/testdata/sf0.01/documents.parquet")
+    rated = quality.labels_table(spark, "/root/testdata/sf0.01")
+    half = F.pmod(F.xxhash64("doc_id", F.lit(3)), F.lit(2))
+    model = quality.train(given, rated.where(half == 0))
+    rows = quality.score(given, model).join(rated.where(half == 1), "doc_id").collect()
+    good, bad = [r.score for r in rows if r.grade == 2], [r.score for r in rows if r.grade < 2]
+    above = np.mean([g > b for g in good for b in bad])
+    assert above > 0.85 and np.mean([(r.p_good >= 0.5) == (r.grade == 2) for r in rows]) > 0.8, above
 
 
 @pytest.mark.parametrize("name", sorted(registry.ORACLES))
