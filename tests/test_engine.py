@@ -380,3 +380,34 @@ def test_string_report(spark):
     rows = {r.kind: r for r in strings.string_report(kk, qs, 12, 14).collect()}
     assert rows.keys() == {"hybrid", "single", "trie", "unique_prefix"} and all(r.false_negatives == 0 for r in rows.values())
     assert rows["hybrid"].exp_fpr <= min(rows["single"].exp_fpr, rows["trie"].exp_fpr) + 1e-9 and abs(rows["hybrid"].exp_fpr - rows["hybrid"].obs_fpr) < 0.1
+
+
+def _grown(spark, folder, copies: int) -> str:
+    """Events and line items repeated with shifted keys, which outgrow the bits of their codes."""
+    for name, key in (("events", "user_id"), ("lineitem", "l_orderkey")):
+        rows = spark.read.parquet(f"/root/testdata/sf0.001/{name}.parquet")
+        step = rows.agg(F.max(key)).first()[0] + 1
+        shift = 1500 if name == "events" else 200_000
+        grown = rows.crossJoin(spark.range(copies).withColumnRenamed("id", "copy__")).withColumn(key, F.col(key) + F.col("copy__") * max(step, shift))
+        if name == "events":
+            grown = grown.withColumn("event_id", F.col("event_id") + F.col("copy__") * 100_000)
+        grown.drop("copy__").write.parquet(f"{folder}/{name}.parquet")
+    return str(folder)
+
+
+@pytest.mark.parametrize("name", ["n_l_user_ts", "n_l_line", "prefix_density", "best_hybrid_line_uniform", "best_single_line_uniform", "best_trie_user_ts_split", "design_space_hybrid_user_ts_split", "best_dual_coarse_user_ts"])
+def test_codes_beyond_their_bits_equal_the_oracle(spark, tmp_path, name):
+    folder = _grown(spark, tmp_path, 6)
+    con = duckdb.connect()
+    con.sql("set timezone = 'UTC'")
+    for table in ("events", "lineitem"):
+        con.sql(f"create view {table} as select * from '{folder}/{table}.parquet/*.parquet'")
+    rounded = lambda rows: sorted(tuple(round(x, 9) if isinstance(x, float) else x for x in r) for r in rows)
+    assert rounded(tuple(r) for r in engine.QUERIES[name](spark, folder).collect()) == rounded(con.sql(engine.ORACLES[name]).fetchall())
+
+
+def test_filters_fit_codes_beyond_their_bits(spark, tmp_path):
+    folder = _grown(spark, tmp_path, 6)
+    rows = experiments._map(spark, folder, "user_ts", "hybrid", 60).collect()
+    assert max(r.l2 for r in rows) == 55  # user ids up to 7,500 take 13 bits
+    assert all(0 <= r.exp_fpr <= 1 and 0 <= r.obs_fpr <= 1 for r in rows)
