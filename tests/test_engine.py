@@ -411,3 +411,32 @@ def test_filters_fit_codes_beyond_their_bits(spark, tmp_path):
     rows = experiments._map(spark, folder, "user_ts", "hybrid", 60).collect()
     assert max(r.l2 for r in rows) == 55  # user ids up to 7,500 take 13 bits
     assert all(0 <= r.exp_fpr <= 1 and 0 <= r.obs_fpr <= 1 for r in rows)
+
+
+def test_window_strategy_never_walks_a_shrinking_frame(spark):
+    """Spark adds a frame up row by row if its start moves, which costs the square of a run."""
+    kk = frame(spark, [(0, i * 3) for i in range(50)], "run_id long, code long")
+    asked = frame(spark, [(i, i, i + 1) for i in range(0, 150, 7)], "qid long, lo long, hi long")
+    found = profile.neighbours(kk, asked, "union_window")
+    assert "unboundedfollowing" not in found._jdf.queryExecution().toString().lower()
+    assert sorted(found.collect()) == sorted(profile.neighbours(kk, asked, "broadcast").collect())
+
+
+def test_rates_of_many_queries_in_parts(monkeypatch):
+    rng = np.random.default_rng(3)
+    codes = np.unique(rng.integers(0, 1 << 20, 400))
+    lo = np.sort(rng.integers(0, (1 << 20) - 70, 900))
+    hi = lo + rng.integers(0, 60, 900)
+    whole = {k: construct.tune_run(codes, lo, hi, 20, 10, k, binned=b)[0] for k, b in (("hybrid", True), ("single", False), ("dual", True))}
+    monkeypatch.setattr(construct, "PART", 64)
+    for (kind, rates), binned in zip(whole.items(), (True, False, True), strict=True):
+        parts = construct.tune_run(codes, lo, hi, 20, 10, kind, binned=binned)[0]
+        assert [r[:4] for r in parts] == [r[:4] for r in rates] and np.allclose([r[5] for r in parts], [r[5] for r in rates], atol=1e-12)
+
+
+def test_samples_beyond_fifty_thousand(spark):
+    """As many queries as a store of real bounds has; none is left out, none is refused."""
+    keys_ = spark.range(0, 4_000_000, 997).select(F.lit(0).cast("long").alias("run_id"), F.col("id").alias("code"))
+    asked = spark.range(60_000).select((F.col("id") * 61).alias("lo"), (F.col("id") * 61 + 5).alias("hi"))
+    assert len(construct.shared_sample(asked).value[0]) == 60_000
+    assert construct.chosen(keys_, asked, 22, 10, "single").count() == 1
