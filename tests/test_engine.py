@@ -440,3 +440,10 @@ def test_samples_beyond_fifty_thousand(spark):
     asked = spark.range(60_000).select((F.col("id") * 61).alias("lo"), (F.col("id") * 61 + 5).alias("hi"))
     assert len(construct.shared_sample(asked).value[0]) == 60_000
     assert construct.chosen(keys_, asked, 22, 10, "single").count() == 1
+
+
+@pytest.mark.parametrize("name", ["amq_kinds", "bloom_fpr_table", "chernoff_table", "cover_ts", "dyadic_cover_ts", "dyadic_recursive", "dyadic_table_function", "enc_n62", "enc_u62", "lateral_cover", "min_bits_table"])
+def test_given_tables_are_read_and_decide_the_result(spark, name):
+    found = engine.QUERIES[name](spark, SF)
+    assert any(f.endswith(("events.parquet", "customer.parquet")) for f in found.inputFiles())
+    test_query_equals_oracle(spark, name)
