@@ -16,6 +16,7 @@ import os
 import uuid
 import zlib
 from collections.abc import Iterator
+from functools import cache
 from urllib.parse import urlparse
 
 import numpy as np
@@ -36,6 +37,19 @@ ROUNDS = 6
 PIECE = "array<struct<doc_id:long,start:long,length:int>>"
 
 
+def squeezed(ids: bytes) -> bytes:
+    return _codec().compress(ids, asbytes=True)
+
+
+def restored(data: bytes, width: int) -> bytes:
+    return _codec().decompress(data, decompressed_size=2 * width, asbytes=True)
+
+
+@cache
+def _codec() -> pa.Codec:
+    return pa.Codec("zstd", 3)
+
+
 def feistel(x: np.ndarray, n: int, key: int = KEY, inverse: bool = False) -> np.ndarray:
     """Keyed permutation of 0 .. n-1 (or its inverse), by cycle-walking over the next power of four."""
     if n <= 1:
@@ -75,7 +89,7 @@ def sequences(docs: DataFrame, tokenizer_path: str, width: int = SEQUENCE_TOKENS
             if given.max() > 0xFFFF:
                 raise ValueError(f"id {given.max()} does not fit 16 bits")
             ids[:size] = given
-            rows.append((made, size, pieces, zlib.compress(ids.tobytes(), 1)))
+            rows.append((made, size, pieces, squeezed(ids.tobytes())))
             held, pieces, size, made = [], [], 0, made + 1
 
         def out() -> pa.RecordBatch:
@@ -105,12 +119,12 @@ def sequences(docs: DataFrame, tokenizer_path: str, width: int = SEQUENCE_TOKENS
     return docs.select("doc_id", "text").mapInArrow(run, f"part int, idx long, n_tokens int, pieces {PIECE}, packed binary")
 
 
-def opened(packed: str) -> Column:
+def opened(packed: str, width: int = SEQUENCE_TOKENS) -> Column:
     """The ids of compressed sequences."""
 
     @F.pandas_udf("binary")
     def ids(column: pd.Series) -> pd.Series:
-        return column.map(zlib.decompress)
+        return column.map(lambda x: restored(x, width))
 
     return ids(packed)
 
@@ -129,7 +143,7 @@ def training_order(docs: DataFrame, tokenizer_path: str, width: int = SEQUENCE_T
     placed = rows.join(F.broadcast(before) if parts.count() <= 100_000 else before, "part").withColumn("slot", slot(F.col("base") + F.col("idx")))
     shards = max(1, -(-total // shard_slots))
     ordered = placed.withColumn("shard", F.expr(f"slot div {shard_slots}")).repartitionByRange(shards, "shard").sortWithinPartitions("slot")
-    return ordered.select("slot", "shard", (F.col("slot") % shard_slots * (2 * width)).alias("byte_offset"), "n_tokens", "pieces", "packed" if packed else opened("packed").alias("ids"))
+    return ordered.select("slot", "shard", (F.col("slot") % shard_slots * (2 * width)).alias("byte_offset"), "n_tokens", "pieces", "packed" if packed else opened("packed", width).alias("ids"))
 
 
 def mounted(folder: str) -> str:
@@ -152,7 +166,7 @@ def write_shards(ordered: DataFrame, folder: str, width: int = SEQUENCE_TOKENS,
         state: dict[int, list] = {}
         for shards, slots, found in columns(batches, "shard", "slot", name):
             for shard, slot, data in zip(shards, slots, found, strict=True):
-                data = zlib.decompress(data) if name == "packed" else data
+                data = restored(data, width) if name == "packed" else data
                 if shard not in state:
                     state[shard] = [open(f"{path}/.shard-{shard:06d}.{TaskContext.get().taskAttemptId()}", "wb"), 0, 0]
                 f = state[shard]
