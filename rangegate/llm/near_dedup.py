@@ -16,9 +16,10 @@ All links are found; what is pruned is proven not to be one.
   own band and the next.
 * First the nodes of a key are compared with one of them; pairs that cannot reach t by size or by the number of shared
   keys are left out, the others verified on the whole sets, and components follow from these links. Then all pairs of
-  one key in different components are compared, so that no link between components is lost. For keys of frequent
-  shingles, parity maps of the sets rule most of these pairs out before they are formed. So a group of copies costs its
-  size, not its square.
+  one key in different components are compared, so that no link between components is lost. Keys of frequent shingles
+  that have the same smallest node are merged for this, as variants of one text share hundreds of them, and a pair is met
+  once a merged group and not once a key; parity maps of the sets rule most of these pairs out before they are formed.
+  So a group of copies costs its size, not its square.
 
 Defined results: null texts and texts without words have no shingles and stand alone; a text of fewer than five words is
 one shingle; a repeated doc_id is one more document; rows with a null doc_id take part, and a class of nothing else has
@@ -254,6 +255,21 @@ def _sides(rows: DataFrame, a: str, b: str) -> DataFrame:
     return rows.select(x.alias("x"), y.alias("y"), "paired").select(F.col("x.node").alias("a"), F.col("x.n").alias("an"), F.col("x.whole").alias("aw"), F.col("y.node").alias("b"), F.col("y.n").alias("bn"), F.col("y.whole").alias("bw"), "paired")
 
 
+def _merged(paired: DataFrame) -> DataFrame:
+    """Rows (key, node, ...) in which the keys with one smallest node have become one key, that node, with each node once.
+
+    Nodes that share a key still share one. Where the merged group would cost more comparisons than its keys do, as with
+    a node that shares a key each with many others, the keys stay.
+    """
+    least = paired.groupBy("key").agg(F.min("node").alias("least"), F.count("*").alias("c"))
+    rows = paired.join(least.select("key", "least"), "key")
+    members = rows.drop("key").distinct()
+    cost = least.groupBy("least").agg(F.sum(F.col("c") * F.col("c")).alias("apart"))
+    worth = members.groupBy("least").agg(F.count("*").alias("u")).join(cost, "least").select("least", (F.col("u") * F.col("u") <= F.col("apart")).alias("worth"))
+    together = members.join(worth.where("worth"), "least", "left_semi").select(F.col("least").alias("key"), *[c for c in members.columns if c != "least"])
+    return together.unionByName(rows.join(worth.where("not worth"), "least", "left_semi").drop("least"))
+
+
 def near_duplicates(docs: DataFrame, percent: int = PERCENT, frequent: int = 8, block_bytes: int = BLOCK_BYTES) -> DataFrame:
     """One row per document: doc_id, n_shingles, component_id, own (hash of the text), first (the row that stands for its
     class; all rows of a class without ids do). A shingle with more than ``frequent`` holders is frequent."""
@@ -285,7 +301,7 @@ def near_duplicates(docs: DataFrame, percent: int = PERCENT, frequent: int = 8,
     met = "own.node < other.node and own_c <> other_c and 100 * least(own.n, other.n) >= {0} * greatest(own.n, other.n)".format(percent)
     differ = " + ".join(f"bit_count(own_bits[{i}] ^ other_bits[{i}])" for i in range(PARITY_WORDS))
     near = f"{100 + percent} * ({differ}) <= {100 - percent} * (own.n + other.n)"
-    one, two = left.where("not paired"), left.where("paired").join(sets.select("node", "bits"), "node")
+    one, two = left.where("not paired"), stored(_merged(stored(left.where("paired")))).join(sets.select("node", "bits"), "node")
     across = side(one, "own").join(side(one, "other").drop("paired"), "key").where(met).select("own", "other", "paired")
     across = across.unionByName(side(two, "own").join(side(two, "other").drop("paired"), "key").where(f"{met} and {near}").select("own", "other", "paired"))
     rest = _bounded(_sides(across, "own", "other"), percent).join(done, ["a", "b"], "left_anti").checkpoint()
