@@ -20,7 +20,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from rangegate.llm.text import columns, documents
+from rangegate.llm.text import columns, documents, frugal
 
 WINDOW_LINES = 3
 LAST = (1 << 63) - 1
@@ -42,7 +42,7 @@ def line_windows(docs: DataFrame, width: int = WINDOW_LINES) -> DataFrame:
             yield pa.RecordBatch.from_arrays([pa.array(hashes, pa.binary()), pa.array(owners, pa.int64()), pa.array(marks, pa.int64()), pa.array(places, pa.int32())], ["h", "doc_id", "own", "at"])
 
     own = F.xxhash64("text").alias("own")
-    return docs.select("doc_id", own, F.col("text").cast("binary").alias("text")).mapInArrow(run, "h binary, doc_id long, own long, at int")
+    return docs.select("doc_id", own, F.col("text").cast("binary").alias("text")).mapInArrow(frugal(run), "h binary, doc_id long, own long, at int")
 
 
 def later_windows(windows: DataFrame) -> DataFrame:
@@ -96,7 +96,7 @@ def dedup_lines(docs: DataFrame, width: int = WINDOW_LINES, drop_emptied: bool =
                 arrays["n_chars"] = pa.array(chars, batch.schema.field("n_chars").type)
             yield pa.RecordBatch.from_arrays([arrays[n] for n in names], names).filter(pa.array(keep, pa.bool_()))
 
-    return with_starts(docs, width).mapInArrow(run, docs.schema)
+    return with_starts(docs, width).mapInArrow(frugal(run), docs.schema)
 
 
 def op10_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -39,7 +39,7 @@ from pyspark.sql import functions as F
 
 from rangegate.llm.blockcounts import cut, key_bits, pack, pack_keys, slices, totals, unpack, unpack_keys
 from rangegate.llm.graph import checkpoints, connected_components, release, stored
-from rangegate.llm.text import Rolling, WordHasher, blocks_for, columns, distinct, documents, mix64, signed, text_bytes
+from rangegate.llm.text import Rolling, WordHasher, blocks_for, columns, distinct, documents, frugal, mix64, signed, text_bytes
 
 SHINGLE_WORDS = 5
 PERCENT = 75
@@ -78,7 +78,7 @@ def _features(docs: DataFrame) -> DataFrame:
             yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(own, pa.int64()), pa.array([f[0] for f in found], pa.int64()), pa.array([f[1] for f in found], pa.int32())], ["doc_id", "own", "node", "n"])
 
     own = F.xxhash64("text").alias("own")
-    return docs.select("doc_id", own, F.col("text").cast("binary").alias("text")).mapInArrow(run, "doc_id long, own long, node long, n int")
+    return docs.select("doc_id", own, F.col("text").cast("binary").alias("text")).mapInArrow(frugal(run), "doc_id long, own long, node long, n int")
 
 
 def _dealt(docs: DataFrame, blocks: int) -> DataFrame:
@@ -96,7 +96,7 @@ def _dealt(docs: DataFrame, blocks: int) -> DataFrame:
             blk, nodes, kept = zip(*out, strict=True) if out else ((),) * 3
             yield pa.RecordBatch.from_arrays([pa.array(blk, pa.int32()), pa.array(nodes, pa.int64()), pa.array(kept, pa.binary())], ["blk", "node", "text"])
 
-    return text_bytes(docs).mapInArrow(run, "blk int, node long, text binary")
+    return text_bytes(docs).mapInArrow(frugal(run), "blk int, node long, text binary")
 
 
 def _block_sets(table: pa.Table) -> tuple[np.ndarray, list[np.ndarray]]:
@@ -120,8 +120,8 @@ def _holders(dealt: DataFrame, parts: int, bits: int) -> DataFrame:
         _, _, found = totals([unpack_keys(x, bits) for x in table.column("keys").to_pylist()], [unpack(x, "<u4") for x in table.column("n").to_pylist()])
         return pa.table({"blk": table.column("blk"), "part": table.column("part"), "counts": pa.array([pack(np.minimum(x, 0xFFFFFFFF).astype("<u4")) for x in found], pa.binary())})
 
-    sent = dealt.groupBy("blk").applyInArrow(asks, "blk int, part int, keys binary, n binary")
-    return sent.groupBy("part").applyInArrow(answers, "blk int, part int, counts binary")
+    sent = dealt.groupBy("blk").applyInArrow(frugal(asks), "blk int, part int, keys binary, n binary")
+    return sent.groupBy("part").applyInArrow(frugal(answers), "blk int, part int, counts binary")
 
 
 def size_bands(percent: int, top: int = 1 << 40) -> list[int]:
@@ -188,7 +188,7 @@ def _postings(dealt: DataFrame, holders: DataFrame, bits: int, frequent: int, pe
             whole.append(np.full(m, rare, bool))
         return pa.table({"key": pa.array(signed(np.concatenate(keys)))} | {c: pa.array(np.concatenate(x)) for c, x in (("paired", pairs), ("node", owners), ("n", sizes), ("whole", whole))})
 
-    return dealt.groupBy("blk").cogroup(holders.groupBy("blk")).applyInArrow(run, "key long, paired boolean, node long, n int, whole boolean")
+    return dealt.groupBy("blk").cogroup(holders.groupBy("blk")).applyInArrow(frugal(run), "key long, paired boolean, node long, n int, whole boolean")
 
 
 def _shared_keys(postings: DataFrame) -> DataFrame:
@@ -229,7 +229,7 @@ def _sets(docs: DataFrame, reps: DataFrame, nodes: DataFrame) -> DataFrame:
                 yield pa.RecordBatch.from_arrays([pa.array([node_of(s) for s in found], pa.int64()), pa.array([signed(s) for s in found], pa.list_(pa.int64())), pa.array([parity(s) for s in found], pa.list_(pa.int64()))], ["node", "s", "bits"])
 
     matched = docs.join(wanted, docs["doc_id"].eqNullSafe(wanted["doc_id"]), "left_semi")
-    return text_bytes(matched).mapInArrow(run, "node long, s array<long>, bits array<long>").dropDuplicates(["node"])
+    return text_bytes(matched).mapInArrow(frugal(run), "node long, s array<long>, bits array<long>").dropDuplicates(["node"])
 
 
 def _overlaps(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:

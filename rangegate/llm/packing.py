@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 
-from rangegate.llm.text import columns, documents
+from rangegate.llm.text import columns, documents, frugal
 from rangegate.llm.tokens import END_ID, default_path, encoder
 
 CAPACITY = 2048
@@ -141,7 +141,7 @@ def pack(docs: DataFrame, tokenizer_path: str, capacity: int = CAPACITY, with_id
         packer.finish()
         yield out(packer.take())
 
-    return docs.select("doc_id", "text").mapInArrow(run, PIECES + ", ids binary" * with_ids)
+    return docs.select("doc_id", "text").mapInArrow(frugal(run), PIECES + ", ids binary" * with_ids)
 
 
 def op2_harmonic_packing(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -27,7 +27,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from rangegate.llm.text import columns, documents, text_bytes
+from rangegate.llm.text import columns, documents, frugal, text_bytes
 
 SLOTS = 1 << 18
 GRADES = 3
@@ -191,7 +191,7 @@ def keep_good(docs: DataFrame, model: OrdinalModel, min_tail: float = MIN_TAIL)
                 kept = m.tails(m.scores([features.of(t) for t in texts]))[:, -1] >= min_tail if m.trained else np.ones(len(texts), bool)
                 yield part.filter(pa.array(kept))
 
-    return docs.mapInArrow(run, docs.schema)
+    return docs.mapInArrow(frugal(run), docs.schema)
 
 
 def labels_table(spark: SparkSession, sf_dir: str) -> DataFrame:
