@@ -447,3 +447,22 @@ def test_given_tables_are_read_and_decide_the_result(spark, name):
     found = engine.QUERIES[name](spark, SF)
     assert any(f.endswith(("events.parquet", "customer.parquet")) for f in found.inputFiles())
     test_query_equals_oracle(spark, name)
+
+
+def _run_of(n: int, bits: int):
+    rng = np.random.default_rng(5)
+    codes = np.unique(rng.integers(0, 1 << bits, n))
+    lo = np.sort(rng.integers(0, (1 << bits) - 70, 200))
+    return codes, construct.Evidence(codes, lo, lo + rng.integers(0, 60, 200), bits), construct.key_prefix_counts(codes, bits)
+
+
+def test_dual_map_builds_each_filter_of_a_tile_once(monkeypatch):
+    """A filter depends on its length only: it was built again for every other length."""
+    bits, m = 30, 20_000
+    (codes, e, n), built, build = _run_of(2000, bits), [], filters.Bloom._set
+    monkeypatch.setattr(filters.Bloom, "_set", staticmethod(lambda *a: built.append(1) or build(*a)))
+    got = {(r[0], r[1]): r[2:] for t in compare.tiles(bits) for r in compare.dual_designs(codes, e, n, m, 0.4, t, 1 << 12)}
+    assert sorted(got) == [(a, b) for a in range(1, bits) for b in range(a + 1, bits + 1)] and len(built) < len(got) // 2
+    for a, b in ((1, 2), (7, 30), (18, 19), (20, 29)):
+        two = [filters.Bloom.of(codes >> (bits - x), y) for x, y in ((a, 8000), (b, 12_000))]
+        assert (got[a, b][1] == filters.probe_levels(two, [a, b], bits, e.lo, e.hi, 1 << 12)[0]).all()
