@@ -466,3 +466,17 @@ def test_dual_map_builds_each_filter_of_a_tile_once(monkeypatch):
     for a, b in ((1, 2), (7, 30), (18, 19), (20, 29)):
         two = [filters.Bloom.of(codes >> (bits - x), y) for x, y in ((a, 8000), (b, 12_000))]
         assert (got[a, b][1] == filters.probe_levels(two, [a, b], bits, e.lo, e.hi, 1 << 12)[0]).all()
+
+
+def test_hybrid_map_hashes_the_prefixes_of_a_length_once(monkeypatch):
+    """Filters of one length differ in size only: their prefixes were hashed again for every depth of the trie."""
+    bits, m = 30, 20_000
+    (codes, e, n), hashed, pair = _run_of(2000, bits), [], filters.raw_pair
+    want = [(a, b, r, filters.Bloom.of(codes >> (bits - b), size) if b else None) for a, b, _, size, _, r in construct.hybrid_rates(e, n, construct.trie_memory(n, bits)[0], m, range(1, bits + 1))]
+    monkeypatch.setattr(filters.Bloom, "test", lambda self, x: np.ones(len(x), bool))
+    monkeypatch.setattr(filters, "raw_pair", lambda x, size: hashed.append(len(x)) or pair(x, size))
+    made, build = {}, filters.Bloom.of_hashes
+    monkeypatch.setattr(filters.Bloom, "of_hashes", staticmethod(lambda f, s, size: made.setdefault((len(f), size), build(f, s, size))))
+    got = [r[:3] for b in range(bits, -1, -1) for r in compare.trie_designs(codes, e, n, m, "hybrid", b, 1 << 12)]
+    assert sorted(got) == sorted(w[:3] for w in want) and sum(hashed) == n[1:].sum()
+    assert all((made[n[b], f.m].data == f.data).all() for _, b, _, f in want if f and n[b] != n[b - 1] and (b == bits or n[b] != n[b + 1]))
