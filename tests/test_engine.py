@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 
 from rangegate import experiments  # noqa: F401  (registers its queries)
 from rangegate import queries as engine
-from rangegate.functions import amq, keys
+from rangegate.functions import amq, hashes, keys
 from rangegate.functions.hashes import mix, mix_numpy
 from rangegate.functions.keys import KeySpace
 from rangegate.operators import compare, construct, filters, measures, model, profile, search, strings, trie, workload
@@ -480,3 +480,22 @@ def test_hybrid_map_hashes_the_prefixes_of_a_length_once(monkeypatch):
     got = [r[:3] for b in range(bits, -1, -1) for r in compare.trie_designs(codes, e, n, m, "hybrid", b, 1 << 12)]
     assert sorted(got) == sorted(w[:3] for w in want) and sum(hashed) == n[1:].sum()
     assert all((made[n[b], f.m].data == f.data).all() for _, b, _, f in want if f and n[b] != n[b - 1] and (b == bits or n[b] != n[b + 1]))
+
+
+def test_filters_of_all_sizes_come_from_one_pass_over_the_keys(monkeypatch):
+    """A map of designs builds a thousand filters: places need no division and no second hash, and are those of the formula."""
+    values = np.unique(np.r_[np.random.default_rng(1).integers(0, 1 << 62, 70_000), 0, hashes.P - 1, hashes.P, hashes.P**2, (1 << 62) - 1])
+    (a, b, c), p = hashes._seeded(101), hashes.P
+    for x in values[::5000].tolist() + [0, p, p * p]:
+        t = ((a * (x % p)) % p + (b * (x // p % p)) % p + c) % p
+        t = (a * ((t * t + c) % p) + b) % p
+        assert hashes.mix_numpy(101, np.array([x]))[0] == (t * t + t * c + a) % p
+    pair = filters.prefix_hashes(values, 62, 62)
+    for m in (1, 2, 999, 500_000):
+        first, step = hashes.hash_pair(values, m)
+        f, bits = filters.Bloom.of_hashes(*pair, m), np.zeros(m, bool)
+        for i in range(f.h):
+            bits[(first + i * step) % m] = True
+        monkeypatch.setattr(filters, "UNPACKED", 0)
+        assert (f.data == np.packbits(bits)).all() and (filters.Bloom.of_hashes(*pair, m).data == f.data).all() and f.test(values).all()
+        monkeypatch.undo()
