@@ -2,9 +2,11 @@
 
 import math
 import os
+import tracemalloc
 
 import duckdb
 import numpy as np
+import pyarrow.compute as pc
 import pytest
 from pyspark.sql import functions as F
 
@@ -499,3 +501,28 @@ def test_filters_of_all_sizes_come_from_one_pass_over_the_keys(monkeypatch):
         monkeypatch.setattr(filters, "UNPACKED", 0)
         assert (f.data == np.packbits(bits)).all() and (filters.Bloom.of_hashes(*pair, m).data == f.data).all() and f.test(values).all()
         monkeypatch.undo()
+
+
+def test_a_large_run_is_compared_in_little_memory():
+    """Filters of all kinds beside the keys: several times the keys were held for each hash, place, region and bit."""
+    rng = np.random.default_rng(2)
+    codes = np.unique(rng.integers(0, 1 << 24, 2_000_000))
+    lo = np.sort(rng.integers(0, (1 << 24) - 9, 200))
+    for kind in compare.KINDS:
+        compare.make(kind, codes[:50_000], lo, lo + 4, 24, 12)  # imports and caches
+        tracemalloc.start()
+        f, _ = compare.make(kind, codes, lo, lo + 4, 24, 12)
+        filters.answer(f, 24, lo, lo + 4)
+        peak = tracemalloc.get_traced_memory()[1]
+        tracemalloc.stop()
+        # a byte a bit of a small filter, and the prefixes of a trie twice
+        assert peak < 3.5 * codes.nbytes, kind
+
+
+def test_packed_runs_are_whole(spark):
+    """Pieces of runs hold every key once, whatever the gaps."""
+    rows = [(r, x) for r, step in ((0, 1), (3, 300), (4, 70_000), (9, 1 << 40)) for x in range(0, 1000 * step, step)] + [(3, 300), (9, (1 << 62) + 5), (9, 0)]
+    pieces = compare.packed(frame(spark, rows, "run_id long, code long").repartition(3)).toArrow()
+    for r in (0, 3, 4, 9):
+        got = compare.unpacked(pieces.filter(pc.equal(pieces.column("run_id"), r)).to_batches())
+        assert got.tolist() == sorted({x for i, x in rows if i == r})
